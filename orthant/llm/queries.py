@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import classifiers, licenses, mixing, packing, quality_rules
+from . import classifiers, jaccard, licenses, mixing, packing, quality_rules
 from .shared import table
 
 
@@ -34,8 +34,12 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed_digests(table(spark, sf_dir, "documents"))
 
 
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join_components(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op2_quality_classifier, op3_toxicity, op4_quality_rules, op6_license_scan, op7_packing)}
+    return {f.__name__: f for f in (op1_mix_sources, op2_quality_classifier, op3_toxicity, op4_quality_rules, op6_license_scan, op7_packing, op8_jaccard_join)}
 
 
 def oracle_sql() -> dict[str, str]:
