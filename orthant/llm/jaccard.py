@@ -73,7 +73,7 @@ def shingle_sets(buf: np.ndarray, off: np.ndarray) -> list[np.ndarray]:
             out.append(u[keep])
         elif m:
             w = h[bounds[i] : bounds[i + 1]]
-            out.append(K.mix((w * K._WINDOW[:m]).sum(keepdims=True) + _U(m * 0x9E3779B97F4A7C15 % (1 << 64))))
+            out.append(K.mix((w * K._WINDOW[:m]).sum(keepdims=True) + _U(int(m) * 0x9E3779B97F4A7C15 % (1 << 64))))
         else:
             out.append(windows[:0])
     return out
