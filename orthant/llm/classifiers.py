@@ -94,3 +94,15 @@ def quality_scores(documents: DataFrame, labels: DataFrame) -> DataFrame:
 def toxicity_scores(documents: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score (higher: toxic likelier), predicted, for every row of ``documents``."""
     return _classify(documents, labels, "toxic", 3, 1, char_ngrams, TOXIC_BITS, 8192, 1.0)
+
+
+def good_documents(documents: DataFrame, learn_from: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of ``documents`` that the quality classifier accepts, with all their columns, whatever their
+    names. The model learns from ``learn_from``, which may hold rows that went before."""
+    teach = learn_from.select("doc_id", "text").where(F.coalesce(id_remainder("doc_id", 4) != 2, F.lit(False)))
+    model = linear.fit(teach, labels.where(id_remainder("doc_id", 4) != 2), "quality", token_ngrams, QUALITY_BITS, PER_CLASS, 60_000, 1.0)
+    row = F.struct(*(F.col(f"`{c}`") for c in documents.columns))
+    inner = documents.select(row.alias("row"), "text")
+    kind = inner.schema["row"].dataType.simpleString()
+    out = linear.score(inner, model, token_ngrams, QUALITY_BITS, THRESHOLD, "row " + kind, ["row"]).where("predicted = 1")
+    return out.select(*(F.col("row")[c].alias(c) for c in documents.columns))

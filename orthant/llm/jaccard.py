@@ -357,3 +357,20 @@ def join_components(documents: DataFrame) -> DataFrame:
     of_set = materialize(named.join(least, "root").select(F.col("s").alias("s2"), "component_id"), "jaccard-components")
     out = rows.join(of_set, (F.col("s") == F.col("s2")) & (F.col("n") > 0), "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
+
+
+def representatives(documents: DataFrame) -> DataFrame:
+    """The rows of ``documents`` of which one per component stays (the one with the smallest doc_id), with all
+    their columns. Texts without words and rows without an id stay."""
+    found = materialize(join_components(documents), "jaccard-rows")
+    gone = materialize(found.where("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct(), "jaccard-gone")
+    few = gone.count() <= BROADCAST_IDS
+    left = documents.join(F.broadcast(gone) if few else gone, F.col("doc_id") == F.col("gone"), "left_anti")
+    twice = materialize(found.where("n_shingles > 0").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 and doc_id is not null").select("doc_id"), "jaccard-twice")
+    if twice.isEmpty():
+        return left
+    # rows that share their id: one with words stays
+    worded = F.coalesce(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")), F.lit(False))
+    mark = left.withColumn("_worded", worded).join(twice.withColumn("_twice", F.lit(True)), "doc_id", "left")
+    again = F.coalesce(F.col("_twice") & F.col("_worded"), F.lit(False))
+    return mark.where(~again).select(*documents.columns).unionByName(mark.where(again).dropDuplicates(["doc_id"]).select(*documents.columns))

@@ -178,6 +178,7 @@ def fit(documents: DataFrame, labels: DataFrame, label: str, featurize: Featuriz
 def score(frame: DataFrame, model: LinearModel, featurize: Featurizer, bits: int, threshold: float, schema: str, keep: list[str]) -> DataFrame:
     """``keep`` columns, then score and predicted of every row's whole text."""
     spread = frame.sparkSession.sparkContext.broadcast(model)
+    names = [x.split()[0] for x in schema.split(", ")][: len(keep)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = spread.value
@@ -192,6 +193,6 @@ def score(frame: DataFrame, model: LinearModel, featurize: Featurizer, bits: int
                 sizes = np.bincount(text, minlength=b - a)
                 out[a:b] = sums / np.maximum(1.0, np.sqrt(sizes)) + m.bias
             p = 1 / (1 + np.exp(-np.clip(m.slope * out + m.shift, -40, 40)))
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(p), pa.array((p >= threshold).astype(np.int32))], [*keep, "score", "predicted"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(f"k{i}") for i in range(len(keep))), pa.array(p), pa.array((p >= threshold).astype(np.int32))], [*names, "score", "predicted"])
 
-    return frame.select(*keep, F.coalesce("text", F.lit("")).alias("text")).mapInArrow(run, f"{schema}, score double, predicted int")
+    return frame.select(*(F.col(k).alias(f"k{i}") for i, k in enumerate(keep)), F.coalesce("text", F.lit("")).alias("text")).mapInArrow(run, f"{schema}, score double, predicted int")

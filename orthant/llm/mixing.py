@@ -11,9 +11,9 @@ fine classes of the rank's logarithm, and only the one fine class in which the w
 in order. Each source is described by one row; up to ``BROADCAST_SOURCES`` of them are broadcast.
 
 Defined cases: a null or empty text has size 0, takes 0; a null source is a source of its own, last in
-order; null ids and repeated rows are rows like others (ties go by id, then size; equal rows are
-interchangeable, so that reruns agree); an empty table gives an empty result; if all sizes are 0, all
-targets are 0. Extra columns are ignored.
+order; null ids are ids like others; the rank depends on id and size alone, and repeated rows with both
+alike rise and fall together, so that reruns agree; an empty table gives an empty result; if all sizes
+are 0, all targets are 0. Extra columns are handed on by ``mixed_documents``, whatever their names.
 """
 
 from __future__ import annotations
@@ -56,8 +56,13 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...], share: float, mos
     )
 
 
-def pareto_copies(sized: DataFrame, targets: DataFrame) -> DataFrame:
-    """``sized`` (rid, doc_id, source, size), written tables, with source_size, target and copies (long)."""
+def _u() -> Column:
+    return unit_hash(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), F.col("size").cast("string")))
+
+
+def copies_plan(sized: DataFrame, targets: DataFrame) -> DataFrame:
+    """One row per source that tells which of its documents get how many copies. ``sized`` (doc_id, source,
+    size) and ``targets`` are written tables."""
     few = targets.count() <= BROADCAST_SOURCES
     by_source = lambda x: F.broadcast(x) if few else x
     plan = (
@@ -68,10 +73,9 @@ def pareto_copies(sized: DataFrame, targets: DataFrame) -> DataFrame:
     )
 
     def ranked(params: DataFrame) -> DataFrame:
-        u = unit_hash(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
         return (
             sized.join(by_source(params), F.col("source").eqNullSafe(F.col("of"))).where("p > 0 and size > 0")
-            .withColumn("u", u).withColumn("odds", F.col("u") / (1 - F.col("u")) * ((1 - F.col("p")) / F.col("p")))
+            .withColumn("u", _u()).withColumn("odds", F.col("u") / (1 - F.col("u")) * ((1 - F.col("p")) / F.col("p")))
             .withColumn("fine", F.floor((F.log("odds") + 100.0) * 16 * 4096).cast("long")).withColumn("coarse", F.shiftright("fine", 12))
         )
 
@@ -87,36 +91,59 @@ def pareto_copies(sized: DataFrame, targets: DataFrame) -> DataFrame:
     plan1 = materialize(plan.join(level1, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-coarse")
     level2 = cut(ranked(plan1).where("coarse = cut1"), "fine", plan1, "spent1").select("of3", F.col("fine").alias("cut2"), F.col("spent").alias("spent2"))
     plan2 = materialize(plan1.join(level2, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-fine")
-    place = F.struct("odds", "doc_id", "size", "rid")
+    place = F.struct("odds", "doc_id", "size")
     inside = ranked(plan2).where("fine = cut2").withColumn("place", place)
     inside = inside.withColumn("until", F.sum("size").over(Window.partitionBy("of").orderBy("place")) + F.col("spent2")).where("until <= owed")
     last = inside.groupBy("of").agg(F.max("place").alias("last"), F.max("until").alias("spent3")).withColumnRenamed("of", "of3")
     plan3 = materialize(plan2.join(last, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3").withColumn("rest", F.col("owed") - F.coalesce("spent3", "spent2", F.lit(0))), "mix-cut")
-    chosen = F.coalesce((F.col("fine") < F.col("cut2")) | ((F.col("fine") == F.col("cut2")) & F.coalesce(place <= F.col("last"), F.lit(False))), F.lit(False))
     gap = F.abs(F.col("size") - F.col("rest"))
-    close = ranked(plan3).where(~chosen & (gap < F.col("rest"))).groupBy("of").agg(F.min(F.struct(gap.alias("gap"), F.col("odds"), F.col("doc_id"), F.col("size"), F.col("rid"))).alias("extra"))
-    plan4 = materialize(plan3.join(close.select(F.col("of").alias("of3"), F.col("extra.rid").alias("extra")), F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-plan")
-    u = unit_hash(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
+    close = ranked(plan3).where(~_in_order() & (gap < F.col("rest"))).groupBy("of").agg(F.min(F.struct(gap.alias("gap"), F.col("odds"), F.col("doc_id"), F.col("size"))).alias("extra"))
+    extra = close.select(F.col("of").alias("of3"), F.struct("extra.odds", "extra.doc_id", "extra.size").alias("extra"))
+    return materialize(plan3.join(extra, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-plan")
+
+
+def _in_order() -> Column:
+    place = F.struct("odds", "doc_id", "size")
+    return F.coalesce((F.col("fine") < F.col("cut2")) | ((F.col("fine") == F.col("cut2")) & F.coalesce(place <= F.col("last"), F.lit(False))), F.lit(False))
+
+
+def with_copies(sized: DataFrame, plan: DataFrame, few: bool) -> DataFrame:
+    """``sized`` (doc_id, source, size and more) with source_size, target and copies."""
+    u, p = _u(), F.col("p")
+    extra = F.coalesce(F.struct("odds", "doc_id", "size") == F.col("extra"), F.lit(False))
     return (
-        sized.join(by_source(plan4), F.col("source").eqNullSafe(F.col("of")))
-        .withColumn("odds", F.when(F.col("p") > 0, u / (1 - u) * ((1 - F.col("p")) / F.when(F.col("p") > 0, F.col("p")).otherwise(1.0))))
+        sized.join(F.broadcast(plan) if few else plan, F.col("source").eqNullSafe(F.col("of")))
+        .withColumn("odds", F.when(p > 0, u / (1 - u) * ((1 - p) / F.when(p > 0, p).otherwise(1.0))))
         .withColumn("fine", F.floor((F.log("odds") + 100.0) * 16 * 4096).cast("long"))
-        .withColumn("sampled", (F.col("p") > 0) & (F.col("size") > 0) & (chosen | F.coalesce(F.col("rid") == F.col("extra"), F.lit(False))))
-        .select("rid", "doc_id", "source", "size", "source_size", "target", (F.col("whole") + F.when(F.col("sampled"), 1).otherwise(0)).cast("long").alias("copies"))
+        .withColumn("sampled", (p > 0) & (F.col("size") > 0) & (_in_order() | extra))
+        .select(*sized.columns, "source_size", "target", (F.col("whole") + F.when(F.col("sampled"), 1).otherwise(0)).cast("long").alias("copies"))
     )
 
 
-def mix_copies(documents: DataFrame, weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: float = 2.0) -> DataFrame:
-    """One row per row of ``documents``: rid, doc_id, source, size, source_size, target, copies. rid is a row
-    number that holds for this call's result."""
-    sized = materialize(documents.select("doc_id", "source", word_count(F.col("text")).alias("size")).withColumn("rid", F.monotonically_increasing_id()), "mix-sizes")
-    sizes = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
-    targets = materialize(source_targets(sizes, weights, share, most), "mix-targets")
-    return pareto_copies(sized, targets)
+def plan_of(documents: DataFrame, weights: tuple[int, ...], share: float, most: float) -> tuple[DataFrame, DataFrame, bool]:
+    """(doc_id, source, size of every row; the plan by source; whether the plan may be broadcast)."""
+    sized = materialize(documents.select("doc_id", "source", word_count(F.col("text")).alias("size")), "mix-sizes")
+    targets = materialize(source_targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most), "mix-targets")
+    return sized, copies_plan(sized, targets), targets.count() <= BROADCAST_SOURCES
+
+
+WEIGHTS, TOTAL_SHARE, MOST_COPIES = (3, 1, 2), 1.5, 2.0
 
 
 def taken_words(documents: DataFrame) -> DataFrame:
-    return mix_copies(documents).select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
+    """doc_id, size, source_size, target, taken for every row of ``documents``."""
+    out = with_copies(*plan_of(documents, WEIGHTS, TOTAL_SHARE, MOST_COPIES))
+    return out.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
+
+
+def mixed_documents(documents: DataFrame) -> DataFrame:
+    """The rows of the mix, each as often as it is taken, with the columns of ``documents``. A text without
+    words takes nothing and comes as often as its source's certain copies."""
+    _, plan, few = plan_of(documents, WEIGHTS, TOTAL_SHARE, MOST_COPIES)
+    whole = F.struct(*(F.col(f"`{c}`") for c in documents.columns)).alias("row")
+    out = with_copies(documents.select(whole, "doc_id", "source", word_count(F.col("text")).alias("size")), plan, few)
+    out = out.where("copies > 0").select("row", F.explode(F.sequence(F.lit(1).cast("long"), "copies")).alias("copy"))
+    return out.select(*(F.col("row")[c].alias(c) for c in documents.columns))
 
 
 ORACLE = r"""
@@ -142,19 +169,19 @@ WITH sized AS (
 ), odds AS (
   SELECT d.doc_id, d.source, d.size, p.source_size, p.target, CAST(floor(rate) AS BIGINT) AS whole, rate - floor(rate) AS p,
          p.target - CAST(floor(rate) AS BIGINT) * p.source_size AS owed,
-         (CAST('0x' || substr(md5(coalesce(CAST(d.doc_id AS VARCHAR), '')), 1, 13) AS BIGINT)::DOUBLE + 0.5) / 4503599627370496.0::DOUBLE AS u
+         (CAST('0x' || substr(md5(coalesce(CAST(d.doc_id AS VARCHAR), '') || ':' || CAST(d.size AS VARCHAR)), 1, 13) AS BIGINT)::DOUBLE + 0.5) / 4503599627370496.0::DOUBLE AS u
   FROM sized d JOIN plan p ON d.source IS NOT DISTINCT FROM p.source
 ), ranked AS (
   SELECT *, CASE WHEN p > 0 THEN u / (1 - u) * ((1 - p) / p) END AS rank_value FROM odds
 ), running AS (
-  SELECT *, sum(CASE WHEN p > 0 THEN size ELSE 0 END) OVER (PARTITION BY source ORDER BY rank_value, doc_id, size ROWS UNBOUNDED PRECEDING) AS until FROM ranked
+  SELECT *, sum(CASE WHEN p > 0 THEN size ELSE 0 END) OVER (PARTITION BY source ORDER BY rank_value, doc_id, size) AS until FROM ranked
 ), chosen AS (
   SELECT *, p > 0 AND size > 0 AND until <= owed AS taken_in_order FROM running
 ), rest AS (
   SELECT *, owed - coalesce(sum(CASE WHEN taken_in_order THEN size END) OVER (PARTITION BY source), 0) AS rest FROM chosen
 ), closing AS (
   SELECT *, p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest AS may_close,
-         row_number() OVER (PARTITION BY source, (p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest) ORDER BY abs(size - rest), rank_value, doc_id, size) AS turn
+         rank() OVER (PARTITION BY source, (p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest) ORDER BY abs(size - rest), rank_value, doc_id, size) AS turn
   FROM rest
 )
 SELECT doc_id, size, source_size, target, size * (whole + CASE WHEN taken_in_order OR (may_close AND turn = 1) THEN 1 ELSE 0 END) AS taken FROM closing

@@ -11,7 +11,7 @@ only the last sequence can need padding.
 
 Defined cases: a null text is empty and has one token, the closing id; a null source is a queue of its
 own; null ids and repeated rows are documents like others; an empty table gives no pieces; a text of any
-length is cut over as many sequences as it needs. Extra columns are ignored. The tables of sources is held on the driver: more than ``MAX_SOURCES`` raise an error.
+length is cut over as many sequences as it needs. Extra columns are ignored. The table of sources is held on the driver: more than ``MAX_SOURCES`` raise an error.
 """
 
 from __future__ import annotations
@@ -134,9 +134,14 @@ def pack(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str,
     return joined.select("doc_id", "doc_tokens", "position", "window", "packed").mapInArrow(cut, "doc_id long, start long, length long, doc_tokens long, sequence_id long, offset long, window long, ids binary")
 
 
-def packed_digests(documents: DataFrame) -> DataFrame:
-    """The pieces with the public byte-level BPE vocabulary, ids as a checksum."""
+def packed_public(documents: DataFrame) -> DataFrame:
+    """The pieces with the public byte-level BPE vocabulary."""
     import public_tokenizers
 
     pieces = pack(documents, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, {"<|endoftext|>": 50256})
-    return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
+    return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "ids")
+
+
+def packed_digests(documents: DataFrame) -> DataFrame:
+    """The same with the ids' checksum only."""
+    return packed_public(documents).drop("ids")

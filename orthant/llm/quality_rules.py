@@ -87,7 +87,7 @@ def count_slice(buf: np.ndarray, off: np.ndarray) -> list[np.ndarray]:
 
 def counts(documents: DataFrame, keep: list[str]) -> DataFrame:
     """``keep`` columns and the counts of every whole text."""
-    types = dict(documents.dtypes)
+    types = {f.name: f.dataType.simpleString() for f in documents.schema}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -156,11 +156,13 @@ def _invert(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
 
 
 def judged(documents: DataFrame, keep: list[str] | None = None) -> DataFrame:
-    """``keep`` columns (doc_id by default), the counts, base_failed, distance (null: not judged), kept."""
+    """``keep`` columns (doc_id by default), the counts, base_failed, distance (null: not judged), kept. Where
+    texts are kept, they are counted twice, for the fit and for the verdict, and not written between."""
     keep = keep or ["doc_id"]
+    wide = keep != ["doc_id"]
     lang, source = (F.coalesce(F.concat(F.lit("="), F.col(k).cast("string")), F.lit("-")) for k in ("lang", "source"))
-    work = documents.select(*keep, "text", lang.alias("_lang"), source.alias("_source"))
-    rows = materialize(counts(work, [*keep, "_lang", "_source"]).withColumn("base_failed", base_failed()), "rule-counts")
+    work = documents.select(*keep, *([] if "text" in keep else ["text"]), lang.alias("_lang"), source.alias("_source"))
+    rows = materialize(counts(work, ["_lang", "_source"] if wide else [*keep, "_lang", "_source"]).withColumn("base_failed", base_failed()), "rule-counts")
     sound = rows.where("not base_failed").select("_lang", "_source", *(x.alias(f"x{i}") for i, x in enumerate(statistics())))
     groups = materialize(sound.groupBy("_lang", "_source").agg(F.count("*").alias("n")), "rule-groups")
     few = groups.count() <= BROADCAST_GROUPS
@@ -185,6 +187,8 @@ def judged(documents: DataFrame, keep: list[str] | None = None) -> DataFrame:
         sums = sums.select("fit", "n", "center", F.array(*(f"s{i}" for i in range(DIM))).alias("s"), F.array(*(f"q{i}_{j}" for i in range(DIM) for j in range(i, DIM))).alias("q"))
         params = sums.mapInPandas(_invert, "fit string, center array<double>, precision array<double>")
     params = materialize(params, "rule-final")
+    if wide:
+        rows = counts(work, [*keep, "_lang", "_source"]).withColumn("base_failed", base_failed())
     scored = rows.select("*", *(x.alias(f"x{i}") for i, x in enumerate(statistics()))).join(near(fits), ["_lang", "_source"], "left").join(near(params), "fit", "left")
     scored = scored.withColumn("distance", F.when(~F.col("base_failed"), _distance()))
     return scored.select(*keep, *NAMES, "base_failed", "distance", (~F.col("base_failed") & (F.coalesce("distance", F.lit(0.0)) <= CUTOFF)).alias("kept"))
@@ -192,3 +196,10 @@ def judged(documents: DataFrame, keep: list[str] | None = None) -> DataFrame:
 
 def verdicts(documents: DataFrame) -> DataFrame:
     return judged(documents).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "distance", "kept")
+
+
+def kept_documents(documents: DataFrame) -> DataFrame:
+    """The rows of ``documents`` that are kept, with all their columns, whatever their names."""
+    inner = documents.select("doc_id", "text", "lang", "source", F.struct(*(F.col(f"`{c}`") for c in documents.columns if c != "text")).alias("_row"))
+    out = judged(inner, ["text", "_row"]).where("kept")
+    return out.select(*(F.col("text") if c == "text" else F.col("_row")[c].alias(c) for c in documents.columns))
