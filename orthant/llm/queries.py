@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import classifiers, embeddings, jaccard, language, licenses, mixing, packing, quality_rules
+from . import classifiers, embeddings, html_text, jaccard, language, licenses, mixing, packing, quality_rules
 from .shared import table
 
 
@@ -42,12 +42,16 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.join_components(table(spark, sf_dir, "documents"))
 
 
+def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.page_texts(table(spark, sf_dir, "pages"))
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.language_predictions(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix_sources, op2_quality_classifier, op3_toxicity, op4_quality_rules, op5_embedding_near_dedup, op6_license_scan, op7_packing, op8_jaccard_join, op10_language_id)}
+    return {f.__name__: f for f in (op1_mix_sources, op2_quality_classifier, op3_toxicity, op4_quality_rules, op5_embedding_near_dedup, op6_license_scan, op7_packing, op8_jaccard_join, op9_html_extraction, op10_language_id)}
 
 
 def oracle_sql() -> dict[str, str]:
