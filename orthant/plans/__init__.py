@@ -1 +1 @@
-
+"""Choices above Catalyst: where matrices live and which route makes a projection."""
