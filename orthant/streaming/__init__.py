@@ -1 +1 @@
-
+"""Matrices and factors from streams."""
