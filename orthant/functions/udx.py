@@ -8,9 +8,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gini_agg(v: pd.Series) -> float:
     """Gini coefficient of a group that fits a task (a component of B); null if it sums to zero."""
     x = np.sort(v.dropna().to_numpy())
@@ -29,7 +30,7 @@ def gram_sweep_udf(g: np.ndarray):
     return run
 
 
-@F.udtf(returnType="col_key bigint, value double")
+@F.udtf(returnType=T.StructType([T.StructField("col_key", T.LongType()), T.StructField("value", T.DoubleType())]))
 class ExplodeCells:
     """The non-zero cells of an array."""
 
@@ -39,7 +40,7 @@ class ExplodeCells:
                 yield i, float(v)
 
 
-@F.udtf(returnType="place int, value double")
+@F.udtf(returnType=T.StructType([T.StructField("place", T.IntegerType()), T.StructField("value", T.DoubleType())]))
 class Reconstruct:
     """The model's cells of one row: a (k) against B's rows laid end to end (n * k)."""
 
