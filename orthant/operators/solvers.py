@@ -3,8 +3,8 @@
 Per iteration the compressed Gram solver makes one pass over the rows: each partition forms its targets
 from the broadcast s x k block, sweeps its rows, and adds up L' A and the components' norms. s k + k
 doubles per partition come back. The column side (n rows) is on the driver with the projections of the
-columns, as is every block of its size. State is handed on through written tables every ``WRITE_EVERY``
-iterations, so that lineage stays bounded and lost executors cost a few iterations at most.
+columns, as is every block of its size. State is handed on through written tables after every
+pass, so that lineage stays bounded and a lost executor costs one pass at most.
 """
 
 from __future__ import annotations
@@ -24,8 +24,6 @@ from . import dense
 from .kernels import COMPRESSED, KERNELS, NONE, Penalty, residual_component
 from .projection import ProjectedMatrix, block, chunks, compress, packed_index, partial, sum_arrays
 
-WRITE_EVERY = 5
-
 
 def shared_folder(spark) -> str:
     path = spark.conf.get("spark.checkpoint.dir", None)
@@ -82,7 +80,7 @@ def with_start(rows: DataFrame, k: int, seed: int, scale: float) -> DataFrame:
     return rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>")
 
 
-def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
+def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
     """(A as rows (key, f), B (n x k), trace of half squared projected error of the column side). ``method``: any
     compressed kernel, or "chals" (component-major, 2 k passes an iteration)."""
     scale = 2 * np.sqrt(max(p.mean, 1e-12) / k)
@@ -120,10 +118,12 @@ def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: in
             near = one_pass(lambda x, f, t=spread, kernel=kernel: kernel(x @ t.value[0], t.value[1], f), True)
             b = kernel(p.left.T @ near, near.T @ near, b, penalty)
         trace.append((i, 0.5 * float(((p.left - near @ b.T) ** 2).sum())))
+        if converged(trace, tolerance):
+            break
     return rows.select("key", "f"), b, trace
 
 
-def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, method: str = "gram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
+def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, method: str = "gram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
     """The uncompressed forms on packed rows. B (n x k) is on the driver; every pass scans X and sends n x k doubles
     per partition. "hals" works through components: 2 k passes an iteration."""
     n = len(keys)
@@ -182,23 +182,28 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
                 b, h, g = b * size, h / size, g / np.outer(size, size)
             b = kernel(h, g, b, penalty)
         trace.append((i, 0.5 * float(norm2 - 2 * (h * b).sum() + (g * (b.T @ b)).sum())))
+        if converged(trace, tolerance):
+            break
     return rows.select(F.col("row_key").alias("key"), "f"), b, trace
 
 
 def converged(trace: list[tuple[int, float]], tolerance: float) -> bool:
-    """The stop rule: the last step's relative gain is below ``tolerance``."""
-    return len(trace) > 1 and abs(trace[-2][1] - trace[-1][1]) <= tolerance * max(abs(trace[-2][1]), 1e-300)
+    """The stop rule: the last step's relative gain is below ``tolerance``; 0 never stops."""
+    return tolerance > 0 and len(trace) > 1 and abs(trace[-2][1] - trace[-1][1]) <= tolerance * max(abs(trace[-2][1]), 1e-300)
 
 
-def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, placement: str | None = None, normalize: str = "sweep") -> tuple[DataFrame, DataFrame, list[tuple[int, float]]]:
+def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, placement: str | None = None, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, DataFrame, list[tuple[int, float]]]:
     """(A: key, f; B: key, f; trace). ``placement``: "driver" brings the compressed state to one machine, whose size
-    is checked, and iterates there; "distributed" never does; None lets the planner choose."""
+    is checked, and iterates there; "distributed" never does; None lets the planner choose. ``normalize="component"``
+    (unit length inside the sweep, k sums an iteration) is for the driver's placement. ``tolerance``: see ``converged``."""
     packed, keys = packed_index(coo)
     packed = held(packed)
     spark = coo.sparkSession
     if method in COMPRESSED:
         p = compress(packed, keys, s, w, seed, hold=held)
         placement = placement or choose_placement(p.d, p.n, k, p.s)
+        if normalize == "component" and placement != "driver":
+            raise ValueError("component normalisation needs the driver's placement")
         if placement == "driver":
             got = sorted((r["key"], r["x"], r["q"]) for r in p.rows.toLocalIterator())
             problem = dense.Problem(np.array([g[1] for g in got]), p.left, np.array([g[2] for g in got]), p.r)
@@ -209,11 +214,13 @@ def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: s
             for i in range(1, iterations + 1):
                 a, b = dense.iterate(problem, method, a, b, penalty, normalize)
                 trace.append((i, 0.5 * float(((p.left - problem.near_a(a) @ b.T) ** 2).sum())))
+                if converged(trace, tolerance):
+                    break
             rows = spark.createDataFrame([(int(x), y) for x, y in zip(rk, a.tolist(), strict=True)], "key bigint, f array<double>")
         else:
-            rows, b, trace = solve_projected(p, keys, k, iterations, method, penalty, seed, normalize)
+            rows, b, trace = solve_projected(p, keys, k, iterations, method, penalty, seed, normalize, tolerance)
     else:
-        rows, b, trace = solve_raw(packed, keys, k, iterations, method, penalty, seed, normalize)
+        rows, b, trace = solve_raw(packed, keys, k, iterations, method, penalty, seed, normalize, tolerance)
     return rows, spark.createDataFrame([(int(x), y) for x, y in zip(keys, b.tolist(), strict=True)], "key bigint, f array<double>"), trace
 
 

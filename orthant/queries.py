@@ -447,6 +447,34 @@ query(name="cost_table_ship")(lambda spark, sf: workloads.cost_table(spark, sf,
 query(name="convergence_img")(lambda spark, sf: workloads.convergence(workloads.run_grid(spark, workloads.data_of(spark, sf, "x_img"), [{"method": m, "k": 20, "s": 25, "w": 4, "seed": i} for m in ("mu", "gram_hals", "cgram_hals") for i in range(5)], 40, 1)))
 
 
+@query()
+def gini_approximate(spark: SparkSession, sf: str) -> DataFrame:
+    """From a quantile grid, beside the exact value."""
+    v = measures.long_factor(_starts(spark, sf)[2], K)
+    return measures.gini_approximate(v, "value").withColumnRenamed("gini", "approximate").crossJoin(measures.gini(v, "value"))
+
+
+@query()
+def distance_distortion_projected(spark: SparkSession, sf: str) -> DataFrame:
+    """Quantiles of the ratio of distances after and before the structured projection, first rows of the vectors."""
+    packed, keys = projection.packed_index(M.x_split(spark, sf))
+    p = projection.compress(packed, keys, 24, 2, SEED)
+    sketch = p.rows.select("key", *(F.col("x")[j].alias(f"f{j}") for j in range(len(p.r))))
+    ratios = measures.distance_distortion(M.x_split(spark, sf), sketch, len(p.r), 60)
+    return ratios.agg(*(F.expr(f"percentile(ratio, {q})").alias(f"q{int(100 * q)}") for q in (0.0, 0.05, 0.5, 0.95, 1.0)))
+
+
+@query()
+def early_stop(spark: SparkSession, sf: str) -> DataFrame:
+    """The curve of a solve that stops on its own."""
+    return _trace(spark, solvers.factorize(M.x_img(spark, sf), 10, 13, 4, 200, tolerance=1e-3)[2])
+
+
+@query()
+def component_normalised(spark: SparkSession, sf: str) -> DataFrame:
+    return _trace(spark, solvers.factorize(M.x_img(spark, sf), 10, 13, 4, 10, normalize="component")[2])
+
+
 @query()
 def spectrum_decay(spark: SparkSession, sf: str) -> DataFrame:
     """Decay of the first singular values and the advised power, by matrix."""

@@ -159,6 +159,36 @@ def test_streams(spark, sf, tmp_path):
     assert out.agg(F.sum("n")).first()[0] == 2 * events.count()
 
 
+def test_session_windows_and_late_events(spark, tmp_path):
+    from orthant.streaming import cells as S
+
+    rows = [(1, 7, "2024-01-05 10:00:00", "view"), (2, 7, "2024-01-05 10:03:00", "view"), (3, 7, "2024-01-09 00:00:00", "click")]
+    late = [(4, 7, "2024-01-05 10:01:00", "view")]  # four days behind the watermark once (3) was seen
+    frame = lambda x: spark.createDataFrame(x, "event_id bigint, user_id bigint, ts string, event_type string").withColumn("ts", F.to_timestamp("ts")).coalesce(1)
+    frame(rows).write.parquet(f"{tmp_path}/in")
+    sessions = S.windowed_counts(S.event_stream(spark, f"{tmp_path}/in", frame(rows).schema), gap="10 minutes")
+    sink = sessions.writeStream.outputMode("append").format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/c")
+    sink.trigger(availableNow=True).start().awaitTermination()
+    frame(late).write.mode("append").parquet(f"{tmp_path}/in")
+    sink.trigger(availableNow=True).start().awaitTermination()
+    assert [(r["event_type"], r["n"]) for r in spark.read.parquet(f"{tmp_path}/out").collect()] == [("view", 2)]
+
+
+def test_stateful_user_vectors(spark, sf, tmp_path):
+    from orthant.streaming import cells as S
+
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    events.coalesce(1).write.parquet(f"{tmp_path}/in")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        stream = spark.readStream.schema(events.schema).parquet(f"{tmp_path}/in").select("user_id", "event_type")
+        got = S.run_to_memory(S.user_vectors(stream), "t_vectors", "update", f"{tmp_path}/c3").collect()
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+    want = events.groupBy("user_id").pivot("event_type", list(S.KINDS)).agg(F.count(F.lit(1))).na.fill(0).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, want))
+
+
 def test_grid_runs(spark, planted):
     runs = workloads.run_grid(spark, planted, [{"method": m, "k": 3, "s": 6, "w": 2, "seed": s} for m in ("gram_hals", "cgram_hals") for s in range(3)], 10, 5)
     table = workloads.medians(runs).where("metric = 'relative_error' and iter = 10").collect()
