@@ -1,37 +1,45 @@
-"""A corpus pipeline of five operators; every stage's result is written and read again by the next one."""
+"""A corpus pipeline of five operators; every stage's result is written and read again by the next one.
+
+A stage begins when the result of the one before has been written, and then clears its working tables.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
 from orthant.llm import classifiers, jaccard, mixing, packing, quality_rules
-from orthant.llm.shared import materialize, table
+from orthant.llm.shared import materialize, scope, table
 
 
 def quality_rules_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that fail the base rule or are outliers of their language and source go."""
-    return quality_rules.kept_documents(docs)
+    with scope(spark, "pipeline"):
+        return quality_rules.kept_documents(docs)
 
 
 def quality_classifier_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier doesn't find good go. It learns from the labelled rows of the whole table
     ``documents``, as the rules before it took most bad examples away."""
-    return classifiers.good_documents(docs, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    with scope(spark, "pipeline"):
+        return classifiers.good_documents(docs, table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 def jaccard_join_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays."""
-    return jaccard.representatives(docs)
+    with scope(spark, "pipeline"):
+        return jaccard.representatives(docs)
 
 
 def mix_sources_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document comes as often as the mix takes it."""
-    return mixing.mixed_documents(docs)
+    with scope(spark, "pipeline"):
+        return mixing.mixed_documents(docs)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of packed sequences, with their ids."""
-    return packing.packed_public(docs)
+    with scope(spark, "pipeline"):
+        return packing.packed_public(docs)
 
 
 STAGES = [

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from . import kernels as K
 from .components import components
-from .shared import materialize, text_parts
+from .shared import discard, materialize, text_parts
 
 WIDTH = 5
 #: Buckets of the shingle counter, and the parts in which its sums are made.
@@ -42,6 +42,10 @@ SKETCH_BITS, SKETCH_PARTS = 23, 32
 BUCKET_KEYS = 150_000
 #: A list of up to so many sets gives all its pairs at once.
 SHORT_LIST = 12
+#: Further rounds of stars over long lists before pairs are compared one by one.
+STAR_ROUNDS = 1
+#: A cluster of lists up to these sizes is handled by one task; larger ones are joined by key.
+CLUSTER_ROWS, CLUSTER_SETS = 1_000_000, 3_000
 #: Ids that may be broadcast to pick texts; more are joined by a shuffle.
 BROADCAST_IDS = 500_000
 #: Members that one copy of a pivot's text is compared with.
@@ -94,7 +98,11 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if waiting:
             if tally is None:
                 tally = np.zeros(size, np.uint32)
-            tally += np.bincount((np.concatenate(waiting) >> _U(64 - SKETCH_BITS)).astype(np.int64), minlength=size).astype(np.uint32)
+            at = np.sort((np.concatenate(waiting) >> _U(64 - SKETCH_BITS)).astype(np.int32))
+            step = size // SKETCH_PARTS
+            edges = np.searchsorted(at, np.arange(0, size + 1, step))
+            for i, (a, b) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
+                tally[i * step : (i + 1) * step] += np.bincount(at[a:b] - i * step, minlength=step).astype(np.uint32)
             waiting, held = [], 0
 
     names = ["doc_id", "n", "s", "part", "counts"]
@@ -109,7 +117,7 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                             seen.add(key)
                         waiting.append(u)
                         held += len(u)
-            if held > 3_000_000:
+            if held > 1_500_000:
                 add()
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ns), pa.array(ss.view(np.int64)), pa.nulls(len(ns), pa.int32()), pa.nulls(len(ns), pa.binary())], names)
     add()
@@ -210,7 +218,7 @@ def _bucket_pairs(table: pa.Table) -> pa.Table:
     head = np.flatnonzero(opens)[group] if len(x) else np.zeros(0, np.int64)
     lo, hi = [head[size > SHORT_LIST]], [np.flatnonzero(size > SHORT_LIST)]
     for d in range(1, SHORT_LIST):
-        i = np.flatnonzero((group[d:] == group[:-d]) & ((size[d:] <= SHORT_LIST) | (d == 1))) if len(x) > d else np.zeros(0, np.int64)
+        i = np.flatnonzero((group[d:] == group[:-d]) & (size[d:] <= SHORT_LIST)) if len(x) > d else np.zeros(0, np.int64)
         if not len(i):
             break
         lo.append(i)
@@ -252,19 +260,24 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], ["a", "b"])
 
 
-def verified(pairs: DataFrame, documents: DataFrame, classes: DataFrame) -> DataFrame:
-    """The pairs (a, b) of set signatures, a written table, whose sets overlap enough, by their whole texts."""
+def verified(pairs: DataFrame, documents: DataFrame, classes: DataFrame, repeated: bool = True) -> DataFrame:
+    """The pairs (a, b) of set signatures, a written table, whose sets overlap enough, by their whole texts.
+    ``repeated``: ids may stand on several rows."""
     needed = materialize(pairs.select(F.col("a").alias("s")).union(pairs.select("b")).distinct().join(classes.select("s", "rep"), "s"), "jaccard-needed")
     few = needed.count() <= BROADCAST_IDS
     ids = needed.withColumnRenamed("rep", "doc_id")
     # an id may stand on several rows; the text's own signature tells which
     texts = documents.select("doc_id", "text").join(F.broadcast(ids) if few else ids, "doc_id")
-    texts = materialize(_signed(texts).where("s = own").select("s", "text").dropDuplicates(["s"]), "jaccard-texts")
+    texts = _signed(texts).where("s = own").select("s", "text")
+    texts = materialize(texts.dropDuplicates(["s"]) if repeated else texts, "jaccard-texts")
     load = pairs.groupBy("a").agg(F.floor((F.count("*") - 1) / PIVOT_SHARE).cast("int").alias("last"))
     pivots = load.join(texts.withColumnRenamed("s", "a"), "a").select("a", F.explode(F.sequence(F.lit(0), F.col("last"))).alias("salt"), F.lit(None).cast("long").alias("b"), "text")
     members = pairs.select("a", "b").join(load, "a").select("a", F.pmod(F.hash("b"), F.col("last") + 1).alias("salt"), "b").join(texts.withColumnRenamed("s", "b"), "b").select("a", "salt", "b", "text")
     rows = pivots.unionByName(members)
-    return rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first()).select("a", "b", "text").mapInArrow(_compare, "a long, b long")
+    out = rows.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first()).select("a", "b", "text").mapInArrow(_compare, "a long, b long")
+    out = materialize(out, "jaccard-links")
+    discard(texts, needed)
+    return out
 
 
 def _signed(texts: DataFrame) -> DataFrame:
@@ -320,30 +333,100 @@ def candidates(documents: DataFrame, total_keys: int, frequent: np.ndarray) -> D
     return packed.groupBy("bucket").applyInArrow(_bucket_pairs, "key long, a long, b long, na long, nb long")
 
 
+def _cross_pairs(table: pa.Table) -> pa.Table:
+    """Pairs of sets of one cluster that share a key, have different roots and can reach the similarity. Which
+    sets share keys comes from products of the set-by-key incidence matrix, in parts of the keys."""
+    s, set_of = np.unique(table.column("s").to_numpy(), return_inverse=True)
+    _, key_of = np.unique(table.column("key").to_numpy(), return_inverse=True)
+    first = np.unique(set_of, return_index=True)[1]
+    n, root = table.column("n").to_numpy()[first], table.column("root").to_numpy()[first]
+    lim, m = table.column("lim").to_numpy(), len(s)
+    order = np.argsort(key_of, kind="stable")
+    key_of, set_of, lim = key_of[order], set_of[order], lim[order]
+    best = np.zeros((m, m), bool)
+    need = _need(n[:, None], n[None, :]).astype(np.int32)
+    possible = (root[:, None] != root[None, :]) & (np.minimum(n[:, None], n[None, :]) >= need) & (np.arange(m)[:, None] < np.arange(m)[None, :])
+    # entries of one set have few distinct limits; those that can't reach any partner's need are out
+    edges = np.append(np.searchsorted(key_of, np.arange(0, key_of[-1] + 1, 2048)), len(key_of))
+    for a, b in zip(edges[:-1], edges[1:], strict=True):
+        k = key_of[a:b] - key_of[a]
+        x = np.zeros((m, k[-1] + 1), np.float32)
+        x[set_of[a:b], k] = 1
+        l = np.zeros(m, np.int64)
+        np.maximum.at(l, set_of[a:b], lim[a:b])
+        best |= (x @ x.T > 0) & (np.minimum(l[:, None], l[None, :]) >= need)
+    i, j = np.nonzero(best & possible)
+    return pa.table({"a": s[i], "b": s[j]})
+
+
+def _rooted(lists: DataFrame, edges: DataFrame) -> DataFrame:
+    """Entries of the lists that still hold sets of different components, with their components' roots."""
+    roots = components(edges).withColumnRenamed("node", "s")
+    rooted = lists.join(roots, "s", "left").withColumn("root", F.coalesce("root", "s"))
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
+    return materialize(rooted.join(mixed, "key"), "jaccard-open")
+
+
+def _reach(a: str, b: str) -> F.Column:
+    need = F.floor((3 * (F.col(f"n{a}") + F.col(f"n{b}")) + 6) / 7)
+    return (F.col(f"root{a}") != F.col(f"root{b}")) & (F.least(f"lim{a}", f"lim{b}", f"n{a}", f"n{b}") >= need)
+
+
+def _ordered() -> list[F.Column]:
+    return [F.least("s0", "s1").alias("a"), F.greatest("s0", "s1").alias("b")]
+
+
+def _long_list_links(lists: DataFrame, edges: DataFrame, done: DataFrame, documents: DataFrame, classes: DataFrame, repeated: bool) -> DataFrame:
+    """Links that long lists add. Only pairs whose ends are not yet in one component matter: ``STAR_ROUNDS`` more
+    stars, each list around another of its sets, join most of what belongs together, and what is left is
+    compared pair by pair, each pair once, cluster by cluster of lists that share sets."""
+    found = None
+    for turn in range(STAR_ROUNDS + 1):
+        known = edges if found is None else edges.unionByName(found)
+        left = _rooted(lists, known)
+        if left.isEmpty():
+            discard(left)
+            break
+        numbered = [left.select("key", *(F.col(c).alias(f"{c}{i}") for c in ("s", "n", "lim", "root"))) for i in (0, 1)]
+        if turn < STAR_ROUNDS:
+            heads = left.groupBy("key").agg(F.min_by(F.struct("s", "n", "lim", "root"), F.xxhash64("s", F.lit(turn))).alias("h")).select("key", *(F.col(f"h.{c}").alias(f"{c}0") for c in ("s", "n", "lim", "root")))
+            pairs = heads.join(numbered[1], "key").where(_reach("0", "1")).select(*_ordered()).distinct()
+        else:
+            stars = left.groupBy("key").agg(F.min("s").alias("a")).join(left.select("key", "s"), "key").where("a <> s").select("a", F.col("s").alias("b")).distinct()
+            cluster = components(stars).withColumnRenamed("node", "s").withColumnRenamed("root", "cluster")
+            entries = materialize(left.join(cluster, "s"), "jaccard-clusters")
+            sizes = entries.groupBy("cluster").agg(F.count("*").alias("rows"), F.count_distinct("s").alias("sets"))
+            fits = (F.col("rows") <= CLUSTER_ROWS) & (F.col("sets") <= CLUSTER_SETS)
+            pairs = entries.join(sizes.where(fits).select("cluster"), "cluster").select("cluster", "key", "s", "n", "lim", "root").groupBy("cluster").applyInArrow(_cross_pairs, "a long, b long")
+            large = materialize(entries.join(sizes.where(~fits).select("cluster"), "cluster").select("key", "s", "n", "lim", "root"), "jaccard-large")
+            if not large.isEmpty():
+                l, r = (large.select("key", *(F.col(c).alias(f"{c}{i}") for c in ("s", "n", "lim", "root"))) for i in (0, 1))
+                pairs = pairs.unionByName(l.join(r, "key").where(F.col("s0") < F.col("s1")).where(_reach("0", "1")).select(*_ordered()).distinct())
+        pairs = materialize(pairs.join(done, ["a", "b"], "left_anti"), "jaccard-rest")
+        discard(left)
+        more = verified(pairs, documents, classes, repeated)
+        done = done.unionByName(pairs)
+        found = more if found is None else found.unionByName(more)
+    return found if found is not None else edges.limit(0)
+
+
 def classes_and_edges(documents: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(rows: doc_id, n, s; classes: s, rep; links between classes: a, b), written tables."""
     sound = documents.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     scanned = materialize(sound.mapInArrow(_scan, "doc_id long, n long, s long, part int, counts binary"), "jaccard-scan")
-    rows = scanned.where("part is null").select("doc_id", "n", "s")
+    rows = materialize(scanned.where("part is null").select("doc_id", "n", "s"), "jaccard-sets")
     frequent = frequent_buckets(scanned.where("part is not null").select("part", F.pmod(F.monotonically_increasing_id() / F.lit(1 << 33), F.lit(16)).cast("int").alias("salt"), "counts"))
+    discard(scanned)
     with_id = rows.where("n > 0 and doc_id is not null")
     classes = materialize(with_id.groupBy("s").agg(F.min("doc_id").alias("rep")), "jaccard-classes")
     total = rows.agg(F.sum(F.floor(F.col("n") / 4) + 1)).first()[0] or 0
     found = materialize(candidates(documents.where("doc_id is not null"), total, frequent), "jaccard-candidates")
     first = materialize(found.where("key is null").select("a", "b").distinct(), "jaccard-pairs")
-    edges = materialize(verified(first, documents, classes), "jaccard-links")
+    repeated = not with_id.groupBy("doc_id").agg(F.count("*").alias("rows")).where("rows > 1").isEmpty()
+    edges = verified(first, documents, classes, repeated)
     lists = found.where("key is not null").select("key", F.col("a").alias("s"), F.col("na").alias("n"), F.col("nb").alias("lim"))
-    # in long lists, only pairs whose ends are not yet in one component are left to compare
-    roots = components(edges).withColumnRenamed("node", "s")
-    rooted = lists.join(roots, "s", "left").withColumn("root", F.coalesce("root", "s"))
-    mixed = rooted.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
-    open_lists = materialize(rooted.join(mixed, "key"), "jaccard-open")
-    if not open_lists.isEmpty():
-        left, right = (open_lists.select("key", *(F.col(c).alias(f"{c}{i}") for c in ("s", "n", "lim", "root"))) for i in (0, 1))
-        need = F.floor((3 * (F.col("n0") + F.col("n1")) + 6) / 7)
-        rest = left.join(right, "key").where((F.col("s0") < F.col("s1")) & (F.col("root0") != F.col("root1")) & (F.least("lim0", "lim1", "n0", "n1") >= need))
-        rest = materialize(rest.select(F.col("s0").alias("a"), F.col("s1").alias("b")).distinct().join(first, ["a", "b"], "left_anti"), "jaccard-rest")
-        edges = edges.unionByName(materialize(verified(rest, documents, classes), "jaccard-more"))
+    edges = edges.unionByName(_long_list_links(lists, edges, first, documents, classes, repeated))
+    discard(found)
     ids = with_id.select("doc_id", "s").distinct()
     twins = ids.join(ids.groupBy("doc_id").agg(F.min("s").alias("a"), F.max("s").alias("z")).where("a <> z"), "doc_id").where("s <> a").select("a", F.col("s").alias("b"))
     return rows, classes, edges.unionByName(twins)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import classifiers, embeddings, html_text, jaccard, language, licenses, mixing, packing, quality_rules
+from . import classifiers, embeddings, html_text, jaccard, language, licenses, mixing, oracles, packing, quality_rules
 from .shared import table
 
 
@@ -55,4 +55,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_mix_sources": mixing.ORACLE}
+    return {
+        "op1_mix_sources": mixing.ORACLE,
+        "op5_embedding_near_dedup": oracles.EMBEDDINGS,
+        "op6_license_scan": oracles.licenses(licenses.PHRASES, licenses.TEMPLATES),
+        "op8_jaccard_join": oracles.JACCARD,
+        "op9_html_extraction": oracles.PAGES,
+    }

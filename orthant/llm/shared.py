@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -12,7 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Text bytes that one numpy pass handles at a time; a longer single text is handled alone.
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -27,16 +28,50 @@ def shared_dir(spark: SparkSession) -> str:
     return path.rstrip("/")
 
 
+#: Paths of working tables by the scope that was open when they were written.
+_scopes: dict[str, list[str]] = {}
+_open_scope: list[str] = []
+
+
+def _path(spark: SparkSession, path: str):
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Writes ``df`` as Parquet into the shared folder and reads it again, which cuts the lineage
-    and survives lost executors. The folder goes when the session ends."""
+    and survives lost executors. The folder goes when it is discarded or when the session ends."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
-    return spark.read.schema(df.schema).parquet(path)
+    target, fs = _path(spark, path)
+    fs.deleteOnExit(target)
+    if _open_scope:
+        _scopes.setdefault(_open_scope[-1], []).append(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._shared_path = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Deletes written tables that nothing reads any more."""
+    for f in frames:
+        target, fs = _path(f.sparkSession, f._shared_path)
+        fs.delete(target, True)
+
+
+@contextlib.contextmanager
+def scope(spark: SparkSession, name: str) -> Iterator[None]:
+    """Working tables written inside belong to ``name``; those it still has from before are deleted first. For
+    steps of which each begins when the result of the one before has been written."""
+    for path in _scopes.pop(name, []):
+        target, fs = _path(spark, path)
+        fs.delete(target, True)
+    _open_scope.append(name)
+    try:
+        yield
+    finally:
+        _open_scope.pop()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -388,8 +388,9 @@ def test_components(spark):
 
     order = np.random.default_rng(8)
     edges = [(i, i + 1) for i in range(60)] + [(100, int(x)) for x in order.integers(101, 160, 80)] + [(5, 5), (None, 3), (7, 6)]
-    got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
-    assert all(got[i] == 0 for i in range(61)) and all(r == 100 for n, r in got.items() if n >= 100)
+    for one_task in (0, 10**6):
+        got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long"), one_task=one_task).collect()}
+        assert all(got[i] == 0 for i in range(61)) and all(r == 100 for n, r in got.items() if n >= 100)
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
