@@ -42,6 +42,8 @@ SKETCH_BITS, SKETCH_PARTS = 23, 32
 BUCKET_KEYS = 150_000
 #: A list of up to so many sets gives all its pairs at once.
 SHORT_LIST = 12
+#: Heads of long lists that a bucket compares a set with at first.
+PIVOTS = 3
 #: Further rounds of stars over long lists before pairs are compared one by one.
 STAR_ROUNDS = 1
 #: A cluster of lists up to these sizes is handled by one task; larger ones are joined by key.
@@ -196,6 +198,31 @@ def _need(a, b):
     return (3 * (a + b) + 6) // 7
 
 
+def _stars(s: np.ndarray, n: np.ndarray, lim: np.ndarray, group: np.ndarray, opens: np.ndarray, long: np.ndarray) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """For each set in long lists, ``PIVOTS`` of its lists' heads at most. A list's head is its set with the least
+    hash, so that lists of one group of copies have few heads, and all buckets mostly the same."""
+    if not len(long):
+        return [long], [long]
+    rank = K.mix(s[long])
+    order = np.lexsort((rank, group[long]))
+    first = np.ones(len(long), bool)
+    first[1:] = group[long][order][1:] != group[long][order][:-1]
+    head_of = np.zeros(group[-1] + 1, np.int64)
+    head_of[group[long][order][first]] = long[order][first]
+    head = head_of[group[long]]
+    need = _need(n[head], n[long])
+    ok = (head != long) & (np.minimum(lim[head], lim[long]) >= need) & (np.minimum(n[head], n[long]) >= need)
+    head, long = head[ok], long[ok]
+    order = np.lexsort((s[head], K.mix(s[head]), s[long]))
+    head, long = head[order], long[order]
+    fresh = np.ones(len(long), bool)
+    fresh[1:] = (s[long][1:] != s[long][:-1]) | (s[head][1:] != s[head][:-1])
+    head, long = head[fresh], long[fresh]
+    start = np.flatnonzero(np.append(True, s[long][1:] != s[long][:-1])) if len(long) else np.zeros(0, np.int64)
+    turn = np.arange(len(long)) - np.repeat(start, np.diff(np.append(start, len(long))))
+    return [head[turn < PIVOTS]], [long[turn < PIVOTS]]
+
+
 def _bucket_pairs(table: pa.Table) -> pa.Table:
     """Candidates of one bucket. Rows with a null key are pairs (a, b, na, nb); others are entries
     (key, a: set, na: size, nb: limit) of long lists."""
@@ -215,8 +242,7 @@ def _bucket_pairs(table: pa.Table) -> pa.Table:
     opens[1:] = k[1:] != k[:-1]
     group = np.cumsum(opens) - 1
     size = np.bincount(group, minlength=1)[group] if len(x) else np.zeros(0, np.int64)
-    head = np.flatnonzero(opens)[group] if len(x) else np.zeros(0, np.int64)
-    lo, hi = [head[size > SHORT_LIST]], [np.flatnonzero(size > SHORT_LIST)]
+    lo, hi = _stars(s, n, lim, group, opens, np.flatnonzero(size > SHORT_LIST))
     for d in range(1, SHORT_LIST):
         i = np.flatnonzero((group[d:] == group[:-d]) & (size[d:] <= SHORT_LIST)) if len(x) > d else np.zeros(0, np.int64)
         if not len(i):
