@@ -356,6 +356,48 @@ def test_html_texts(spark, sf):
         assert r.n_chars == len(r.text) and r.text
 
 
+def test_equal_pages_of_a_host_are_one_page(spark):
+    body = "<div>a notice that stands on every page of this host</div><p>{}</p>"
+    pages = [(i, "http://d.x/" + str(i), body.format(t)) for i, t in ((1, "one text crawled twice under two ids"), (2, "one text crawled twice under two ids"), (3, "another text"))]
+    got = {r.page_id: r.text for r in html_text.page_texts(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert got == {1: "one text crawled twice under two ids", 2: "one text crawled twice under two ids", 3: "another text"}
+
+
+@pytest.mark.parametrize("share", [1, 7, 50_000])
+def test_sorted_suffixes_give_lengths_and_cover_of_repeated_runs(spark, share):
+    order = np.random.default_rng(3)
+    passages = [" ".join(f"p{k}w{i}" for i in range(n)) for k, n in enumerate((8, 11, 37, 90))] + ["z " * 40]
+    words = []
+    for _ in range(14):
+        parts = []
+        for _ in range(5):
+            parts += passages[order.integers(len(passages))].split() + [f"own{order.integers(10**6)}" for _ in range(order.integers(1, 9))]
+        words.append(parts)
+    words.append(list(words[0]))
+    hosts = ["a" if i % 3 else "b" for i in range(14)] + ["b"]
+    frame = spark.createDataFrame([(i, hosts[i], " ".join(w)) for i, w in enumerate(words)], "uid long, host string, text string")
+
+    def common(a, b):
+        n = 0
+        while n < min(len(a), len(b)) and a[n] == b[n]:
+            n += 1
+        return n
+
+    longest = {}
+    for i, w in enumerate(words):
+        others = [v for j, v in enumerate(words) if hosts[j] == hosts[i] and v != w]
+        for p in range(len(w)):
+            n = max((common(w[p:], v[q:]) for v in others for q in range(len(v))), default=0)
+            if n >= 8:
+                longest[i, p] = n
+    got = {(r.uid, r.at): r.length for r in html_text.repeated_runs(frame, share=share).collect()}
+    assert got.keys() == longest.keys() and all(8 <= got[k] <= longest[k] for k in got)
+    if share > len(got):
+        assert all(2 * got[k] > longest[k] for k in got)
+    cover = lambda runs: {(i, x) for (i, p), n in runs.items() for x in range(p, p + n)}
+    assert cover(got) == cover(longest)
+
+
 def test_language(spark, hard, empty):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = language.language_predictions(docs).join(docs.select("doc_id", "lang"), "doc_id").toPandas()
