@@ -1,16 +1,19 @@
 """Quality rules (4): base counts of every text, then robust multivariate outliers.
 
 For each language and source a minimum-covariance-determinant estimate of transformed statistics is
-found by concentration steps over all its rows: from medians and absolute deviations, distances are
-computed, the nearest ``SUBSET`` share of rows gives the next mean and covariance, and so on. Each step
-is a join of the written statistics with one row of parameters per group and a partial aggregation, so a
-group of any size is never gathered. Rows farther than ``CUTOFF`` (squared Mahalanobis distance) go.
+found by concentration steps over all its rows: distances are computed, the nearest ``SUBSET`` share of
+rows gives the next mean and covariance, and so on. ``STARTS`` starts (one of medians and absolute
+deviations, the others of some ``START_ROWS`` rows each) go side by side, and the least determinant wins. Each
+step is a join of the written statistics with one row of parameters per group and start and a partial
+aggregation, so a group of any size is never gathered. Rows whose squared Mahalanobis distance is above
+the ``LEVEL`` quantile of its chi-square distribution go.
 
 A group with fewer than ``LEAST_GROUP`` rows is judged with the other small groups of its language; if
 they are too few together, with all such rows; below ``LEAST_FIT`` rows nothing is rejected. Floors on
-the spreads (``FLOOR``) keep statistics that hardly vary, such as symbol shares, from rejecting anything
-for a trifle, and the ratios are pulled towards usual values by a weight of 50 words, so that short
-texts don't stand out by chance.
+the spreads (``FLOOR``) regularise covariances, as half or more of a group's rows have no symbol, repeated line or
+repeated word at all and their spread there is 0. At the cutoff each floor still lets its statistic reject alone
+(about six repeated lines, or a share 0.17 off the center). The ratios are pulled towards usual values by a weight of
+50 words, so that short texts don't stand out by chance. ``rejections`` counts what each group loses.
 
 Defined cases: a null or empty text has no words and fails the base rule; null languages and sources
 form groups of their own; null ids and repeated rows are rows like others; an empty table gives an empty
@@ -19,7 +22,7 @@ result. Extra columns are ignored, or handed on by ``kept_documents``.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from math import exp, factorial
 
 import numpy as np
@@ -33,7 +36,8 @@ from .shared import materialize, text_parts
 
 SUBSET = 0.75
 STEPS = 4
-CUTOFF = 90.0
+STARTS, START_ROWS = 3, 60
+LEVEL = 0.999
 LEAST_GROUP, LEAST_FIT = 200, 60
 #: Groups whose table of parameters may be broadcast.
 BROADCAST_GROUPS = 50_000
@@ -122,13 +126,20 @@ def chi2_below(x: float, even: int) -> float:
     return 1 - exp(-x / 2) * sum((x / 2) ** k / factorial(k) for k in range(even // 2))
 
 
-def consistency(share: float, even: int) -> float:
-    """What the covariance of the nearest ``share`` of normal rows is multiplied by to be the covariance of all."""
+def chi2_quantile(share: float, even: int) -> float:
     low, high = 0.0, 500.0
     for _ in range(80):
         mid = (low + high) / 2
         low, high = (mid, high) if chi2_below(mid, even) < share else (low, mid)
-    return share / chi2_below(low, even + 2)
+    return low
+
+
+def consistency(share: float, even: int) -> float:
+    """What the covariance of the nearest ``share`` of normal rows is multiplied by to be the covariance of all."""
+    return share / chi2_below(chi2_quantile(share, even), even + 2)
+
+
+CUTOFF = chi2_quantile(LEVEL, DIM)
 
 
 def _distance() -> Column:
@@ -140,19 +151,53 @@ def _distance() -> Column:
     return total
 
 
-def _invert(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """Precision matrices from sums of deviations from the last center over the nearest rows."""
-    scale = consistency(SUBSET, DIM)
+def _sums(frame: DataFrame) -> DataFrame:
+    """Per fit and start: rows, and sums of deviations from the center and of their products."""
+    d = [F.col(f"x{i}") - F.col("center")[i] for i in range(DIM)]
+    sums = frame.groupBy("fit", "start").agg(F.count("*").alias("n"), F.first("center").alias("center"), *(F.sum(d[i]).alias(f"s{i}") for i in range(DIM)), *(F.sum(d[i] * d[j]).alias(f"q{i}_{j}") for i in range(DIM) for j in range(i, DIM)))
+    return sums.select("fit", "start", "n", "center", F.array(*(f"s{i}" for i in range(DIM))).alias("s"), F.array(*(f"q{i}_{j}" for i in range(DIM) for j in range(i, DIM))).alias("q"))
+
+
+_PARAMS = "fit string, start int, center array<double>, precision array<double>, log_det double"
+
+
+def _invert(frames: Iterator[pd.DataFrame], scale: float) -> Iterator[pd.DataFrame]:
+    """Precision matrices and log determinants of covariances from ``_sums``."""
     for f in frames:
-        center, precision = [], []
+        center, precision, log_det = [], [], []
         for n, c, s, q in zip(f["n"], f["center"], f["s"], f["q"], strict=True):
             mean = np.asarray(s) / n
             cov = np.zeros((DIM, DIM))
             cov[np.triu_indices(DIM)] = np.asarray(q) / n
             cov = cov + cov.T - np.diag(np.diag(cov)) - np.outer(mean, mean)
             center.append((np.asarray(c) + mean).tolist())
-            precision.append(np.linalg.inv(scale * cov + np.diag(np.square(FLOOR))).ravel().tolist())
-        yield pd.DataFrame({"fit": f["fit"], "center": center, "precision": precision})
+            full = scale * cov + np.diag(np.square(FLOOR))
+            precision.append(np.linalg.inv(full).ravel().tolist())
+            log_det.append(float(np.linalg.slogdet(full)[1]))
+        yield pd.DataFrame({"fit": f["fit"], "start": f["start"], "center": center, "precision": precision, "log_det": log_det})
+
+
+def _fitted(x: DataFrame, near: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """fit, center, precision: of the start with the least determinant. ``x``: fit, x0, x1, ..."""
+    middle = x.groupBy("fit").agg(F.count("*").alias("n"), *(F.percentile_approx(f"x{i}", 0.5, 1000).alias(f"m{i}") for i in range(DIM))).where(F.col("n") >= LEAST_FIT)
+    middle = materialize(middle, "rule-median")
+    spread = x.join(near(middle), "fit").groupBy("fit").agg(*(F.percentile_approx(F.abs(F.col(f"x{i}") - F.col(f"m{i}")), 0.5, 1000).alias(f"d{i}") for i in range(DIM)))
+    start = F.array(*(v for i in range(DIM) for j in range(DIM) for v in [1 / (F.pow(1.4826 * F.col(f"d{i}"), 2) + FLOOR[i] ** 2) if i == j else F.lit(0.0)]))
+    medians = F.array(*(f"m{i}" for i in range(DIM))).alias("center")
+    params = middle.join(spread, "fit").select("fit", F.lit(0).alias("start"), medians, start.alias("precision"), F.lit(0.0).alias("log_det"))
+    # the other starts: rows whose hashes leave about START_ROWS of a fit
+    place = F.pmod(F.xxhash64("start", *(f"x{i}" for i in range(DIM))), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    few = x.join(near(middle.select("fit", "n", medians)), "fit").withColumn("start", F.explode(F.array(*(F.lit(i) for i in range(1, STARTS))))).where(place * F.col("n") < START_ROWS)
+    params = params.unionByName(_sums(few).mapInPandas(lambda it: _invert(it, 1.0), _PARAMS))
+    scale = consistency(SUBSET, DIM)
+    for _ in range(STEPS):
+        params = materialize(params, "rule-params")
+        far = x.join(near(params), "fit").withColumn("far", _distance())
+        cut = far.groupBy("fit", "start").agg(F.percentile_approx("far", SUBSET, 2000).alias("cut"))
+        nearest = far.join(near(materialize(cut, "rule-cut")), ["fit", "start"]).where("far <= cut")
+        params = _sums(nearest).mapInPandas(lambda it: _invert(it, scale), _PARAMS)
+    best = params.groupBy("fit").agg(F.min(F.struct("log_det", "start", "center", "precision")).alias("best"))
+    return materialize(best.select("fit", "best.center", "best.precision"), "rule-final")
 
 
 def judged(documents: DataFrame, keep: list[str] | None = None) -> DataFrame:
@@ -172,21 +217,7 @@ def judged(documents: DataFrame, keep: list[str] | None = None) -> DataFrame:
     fits = groups.join(small, "_lang", "left").select("_lang", "_source", F.when(F.col("n") >= LEAST_GROUP, F.concat_ws("\x1f", "_lang", "_source")).when(F.col("rest") >= LEAST_GROUP, F.col("_lang")).otherwise(F.lit("")).alias("fit"))
     fits = materialize(fits, "rule-fits")
     x = sound.join(near(fits), ["_lang", "_source"]).select("fit", *(f"x{i}" for i in range(DIM)))
-    middle = x.groupBy("fit").agg(F.count("*").alias("n"), *(F.percentile_approx(f"x{i}", 0.5, 1000).alias(f"m{i}") for i in range(DIM))).where(F.col("n") >= LEAST_FIT)
-    middle = materialize(middle, "rule-median")
-    spread = x.join(near(middle), "fit").groupBy("fit").agg(*(F.percentile_approx(F.abs(F.col(f"x{i}") - F.col(f"m{i}")), 0.5, 1000).alias(f"d{i}") for i in range(DIM)))
-    start = F.array(*(v for i in range(DIM) for j in range(DIM) for v in [1 / (F.pow(1.4826 * F.col(f"d{i}"), 2) + FLOOR[i] ** 2) if i == j else F.lit(0.0)]))
-    params = middle.join(spread, "fit").select("fit", F.array(*(f"m{i}" for i in range(DIM))).alias("center"), start.alias("precision"))
-    for _ in range(STEPS):
-        params = materialize(params, "rule-params")
-        far = x.join(near(params), "fit").withColumn("far", _distance())
-        cut = far.groupBy("fit").agg(F.percentile_approx("far", SUBSET, 2000).alias("cut"))
-        nearest = far.join(near(materialize(cut, "rule-cut")), "fit").where("far <= cut")
-        d = [F.col(f"x{i}") - F.col("center")[i] for i in range(DIM)]
-        sums = nearest.groupBy("fit").agg(F.count("*").alias("n"), F.first("center").alias("center"), *(F.sum(d[i]).alias(f"s{i}") for i in range(DIM)), *(F.sum(d[i] * d[j]).alias(f"q{i}_{j}") for i in range(DIM) for j in range(i, DIM)))
-        sums = sums.select("fit", "n", "center", F.array(*(f"s{i}" for i in range(DIM))).alias("s"), F.array(*(f"q{i}_{j}" for i in range(DIM) for j in range(i, DIM))).alias("q"))
-        params = sums.mapInPandas(_invert, "fit string, center array<double>, precision array<double>")
-    params = materialize(params, "rule-final")
+    params = _fitted(x, near)
     if wide:
         rows = counts(work, [*keep, "_lang", "_source"]).withColumn("base_failed", base_failed())
     scored = rows.select("*", *(x.alias(f"x{i}") for i, x in enumerate(statistics()))).join(near(fits), ["_lang", "_source"], "left").join(near(params), "fit", "left")
@@ -198,6 +229,13 @@ def verdicts(documents: DataFrame) -> DataFrame:
     return judged(documents).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "distance", "kept")
 
 
+def rejections(documents: DataFrame) -> DataFrame:
+    """lang, source, n, base_failed, rejected: rows of each group, those the base rule drops, and those dropped beyond it."""
+    out = judged(documents, ["lang", "source"])
+    lost = [F.count_if(c).alias(k) for k, c in (("base_failed", F.col("base_failed")), ("rejected", ~F.col("base_failed") & ~F.col("kept")))]
+    return out.groupBy("lang", "source").agg(F.count("*").alias("n"), *lost)
+
+
 def kept_documents(documents: DataFrame) -> DataFrame:
     """The rows of ``documents`` that are kept, with all their columns, whatever their names."""
     inner = documents.select("doc_id", "text", "lang", "source", F.struct(*(F.col(f"`{c}`") for c in documents.columns if c != "text")).alias("_row"))

@@ -139,6 +139,21 @@ def test_quality_rules(docs, hard, empty):
     assert quality_rules.kept_documents(empty).count() == 0
 
 
+def test_quality_cutoff_lets_single_statistics_reject(spark):
+    assert abs(quality_rules.CUTOFF - 22.458) < 0.001
+    order = np.random.default_rng(2)
+    word = lambda: "".join(order.choice(list("abcdefghij"), order.integers(2, 9)))
+    text = lambda n: " ".join(word() for _ in range(n))
+    rows = [(i, text(order.integers(100, 300)) + ".", "en", "s") for i in range(300)]
+    rows += [(1000 + i, text(150) + "\nsame" * 21, "en", "s") for i in range(5)]
+    rows += [(2000 + i, text(16).upper(), "en", "s") for i in range(5)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = {r.doc_id: r for r in quality_rules.verdicts(frame).collect()}
+    assert not any(r.base_failed for r in got.values())
+    assert all(r.kept == (i < 1000) for i, r in got.items())
+    assert [tuple(r) for r in quality_rules.rejections(frame).collect()] == [("en", "s", 310, 0, 10)]
+
+
 def test_covariance_determinant_finds_planted_outliers(spark):
     order = np.random.default_rng(1)
     word = lambda: "".join(order.choice(list("abcdefghij"), order.integers(2, 9)))
