@@ -3,7 +3,10 @@
 Unit vectors are split in halves, each with a codebook (k-means on a bounded sample); pairs of codes are
 the cells of a grid, and every vector is indexed in its cell. Each vector also visits its nearest cells
 in the order of the sum of both half distances (multi-sequence order). How many it visits comes from
-bounded sample queries compared with all rows: as many as reach ``TARGET`` of their true links. Vectors
+bounded sample queries compared with all rows: as many as reach ``TARGET`` of their true links in each
+of the bands of cosines that begin at ``BANDS``, where each query counts alike within its cell and each cell alike,
+so that a large group decides no more than a pair. A band with too few links in ``MOST_QUERIES`` queries is
+judged by made partners at its least cosine. No bound but the number of cells stops the visits. Vectors
 that meet in a cell are verified by their cosine in double precision. The number of codes grows with the
 square root of the number of vectors, so that a cell holds about ``CELL_LOAD`` of them.
 
@@ -32,10 +35,9 @@ from .shared import materialize
 COSINE = 0.93
 TARGET = 0.995
 CELL_LOAD, LEAST_CODES, MOST_CODES = 32, 8, 1024
-SAMPLE, QUERIES, LEAST_PAIRS = 8192, 1024, 30
-#: Cells visited where the sample queries show too few links to tell.
-VISITS = 48
-MOST_VISITS = 512
+SAMPLE, QUERIES, MOST_QUERIES = 8192, 1024, 8192
+#: Least cosines of bands; cells of queries with links that a band needs to be judged by them.
+BANDS, LEAST_CELLS = (COSINE, 0.95, 0.97), 30
 SHARE = 1024
 
 
@@ -84,6 +86,11 @@ class Grid:
         first = sums.argsort(1, kind="stable")[:, :count]
         return np.take_along_axis(oa, ranks[:, 0][first], 1) * self.k + np.take_along_axis(ob, ranks[:, 1][first], 1)
 
+    def step(self, count: int) -> int:
+        """Vectors whose visits fit in memory at a time."""
+        count = min(count, self.k * self.k)
+        return int(max(1, min(2048, (1 << 22) // sum(min(self.k, count // (i + 1)) for i in range(self.k)))))
+
     def rank(self, x: np.ndarray, cell: np.ndarray) -> np.ndarray:
         """Cells that are nearer to each vector than its given cell."""
         a, b = self.distances(x)
@@ -93,44 +100,92 @@ class Grid:
         return out
 
 
-def _visit_count(classes: DataFrame, grid: Grid, width: int) -> int:
-    """Cells to visit, from bounded sample queries against all vectors."""
-    chosen = classes.orderBy(F.xxhash64("rep", "h1"), "rep").limit(QUERIES).select("key", "rep", "v").collect()
-    asked = ([r["key"] for r in chosen], np.array([r["rep"] for r in chosen]), unit([r["v"] for r in chosen], width))
-    spread = classes.sparkSession.sparkContext.broadcast((asked, grid))
+def least_count(group: np.ndarray, query: np.ndarray, rank: np.ndarray, n: np.ndarray) -> int:
+    """Least number of cells that reaches ``TARGET`` of links: ``n`` links of a ``query`` at each ``rank``. Queries weigh
+    alike within their ``group``, and groups weigh alike."""
+    of_query = np.bincount(query, n)
+    one = np.unique(np.stack([group, query]), axis=1)
+    weight = n / of_query[query] / np.bincount(one[0])[group] / len(np.unique(group))
+    order = rank.argsort(kind="stable")
+    reached = np.cumsum(weight[order])
+    return int(rank[order][np.searchsorted(reached, TARGET - 1e-9)]) + 1
+
+
+def _made_ranks(grid: Grid, q: np.ndarray, cosine: float, each: int = 4) -> np.ndarray:
+    """The lesser ranks of each other's cells of queries and made partners of this cosine, ``each`` a query, in even directions."""
+    q = np.repeat(q, each, axis=0)
+    u = np.random.default_rng(7).standard_normal(q.shape)
+    u -= (u * q).sum(1)[:, None] * q
+    size = np.linalg.norm(u, axis=1, keepdims=True)
+    made = cosine * q + (1 - cosine**2) ** 0.5 * np.divide(u, size, out=np.zeros_like(u), where=size > 1e-9)
+    return np.minimum(grid.rank(q, grid.cells(made)), grid.rank(made, grid.cells(q)))
+
+
+def _coarse(rank: np.ndarray) -> np.ndarray:
+    """Ranks rounded up to an eighth of a power of two, so that a query has few of them."""
+    unit_of = np.maximum(1, 1 << np.maximum(0, np.floor(np.log2(np.maximum(rank, 1))).astype(np.int64) - 3))
+    return -(-rank // unit_of) * unit_of
+
+
+def _sample_links(classes: DataFrame, grid: Grid, width: int, queries: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(unit vectors of sample queries, their groups, rows of query, band, rank, n) against all vectors."""
+    chosen = classes.orderBy(F.xxhash64("rep", "h1"), "rep").limit(queries).select("key", "rep", "v").collect()
+    keys, reps, q = [r["key"] for r in chosen], np.array([r["rep"] for r in chosen]), unit([r["v"] for r in chosen], width)
+    spread = classes.sparkSession.sparkContext.broadcast((keys, reps, q, grid))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (keys, reps, q), g = spread.value
+        keys, reps, q, g = spread.value
+        home = g.cells(q)
         of_key: dict[str, list[int]] = {}
         for i, k in enumerate(keys):
             of_key.setdefault(k, []).append(i)
-        found: list[int] = []
-        for batch in batches:
-            x = unit(batch.column("v").to_pylist(), width)
-            key, rep, cell = batch.column("key").to_pylist(), batch.column("rep").to_numpy(), g.cells(x)
-            by: dict[str, list[int]] = {}
-            for i, k in enumerate(key):
-                if k in of_key:
-                    by.setdefault(k, []).append(i)
-            for k, rows in by.items():
-                mine, theirs = np.array(rows), np.array(of_key[k])
-                i, j = np.nonzero(x[mine] @ q[theirs].T >= COSINE)
-                i, j = mine[i], theirs[j]
-                on = rep[i] != reps[j]
-                found += g.rank(q[j[on]], cell[i[on]]).tolist()
-        n = np.bincount(np.array(found, np.int64)) if found else np.zeros(0, np.int64)
-        at = np.flatnonzero(n)
-        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(n[at])], ["rank", "n"])
-
-    seen = classes.select("key", "rep", "v").mapInArrow(run, "rank long, n long").groupBy("rank").agg(F.sum("n").alias("n")).orderBy("rank").limit(1 << 20).collect()
-    total, run_sum = sum(r["n"] for r in seen), 0
-    if total < LEAST_PAIRS:
-        return min(VISITS, grid.k**2)
-    for r in seen:
-        run_sum += r["n"]
-        if run_sum >= TARGET * total:
-            return int(min(max(4, r["rank"] + 1), MOST_VISITS, grid.k**2))
-    return min(VISITS, grid.k**2)
+        for whole in batches:
+            for first in range(0, whole.num_rows, 1024):
+                batch = whole.slice(first, 1024)
+                x = unit(batch.column("v").to_pylist(), width)
+                key, rep, cell = batch.column("key").to_pylist(), batch.column("rep").to_numpy(), g.cells(x)
+                by: dict[str, list[int]] = {}
+                for i, k in enumerate(key):
+                    if k in of_key:
+                        by.setdefault(k, []).append(i)
+                found = [np.zeros((3, 0), np.int64)]
+                for k, rows in by.items():
+                    mine, theirs = np.array(rows), np.array(of_key[k])
+                    near = x[mine] @ q[theirs].T
+                    i, j = np.nonzero(near >= COSINE)
+                    band = np.searchsorted(BANDS, near[i, j], side="right") - 1
+                    i, j = mine[i], theirs[j]
+                    on = rep[i] != reps[j]
+                    i, j, band = i[on], j[on], band[on]
+                    pair, back = np.unique(np.stack([j, cell[i]]), axis=1, return_inverse=True)
+                    # a link is found if one of its ends visits the other
+                    rank = np.minimum(g.rank(q[pair[0]], pair[1])[back.ravel()], g.rank(x[i], home[j]))
+                    found.append(np.stack([j, band, _coarse(rank)]))
+                same, n = np.unique(np.concatenate(found, axis=1), axis=1, return_counts=True)
+                yield pa.RecordBatch.from_arrays([*map(pa.array, same), pa.array(n)], ["query", "band", "rank", "n"])
+
+    seen = classes.select("key", "rep", "v").mapInArrow(run, "query long, band long, rank long, n long").groupBy("query", "band", "rank").agg(F.sum("n").alias("n")).collect()
+    home, number = grid.cells(q), {k: i for i, k in enumerate(dict.fromkeys(keys))}
+    group = np.unique(np.array([number[k] for k in keys]) * grid.k**2 + home, return_inverse=True)[1].ravel()
+    return q, group, np.array([tuple(r) for r in seen], np.int64).reshape(-1, 4)
+
+
+def _visit_count(classes: DataFrame, grid: Grid, width: int) -> int:
+    """Cells to visit, from bounded sample queries against all vectors."""
+    for queries in (QUERIES, MOST_QUERIES):
+        q, group, links = _sample_links(classes, grid, width, queries)
+        bands = [links[links[:, 1] == b] for b in range(len(BANDS))]
+        enough = [len(np.unique(group[x[:, 0]])) >= LEAST_CELLS for x in bands]
+        if all(enough) or len(q) < queries:
+            break
+    count = 4
+    for x, told, cosine in zip(bands, enough, BANDS, strict=True):
+        if len(x):
+            count = max(count, least_count(group[x[:, 0]], x[:, 0], x[:, 2], x[:, 3]))
+        if not told and len(q) == queries:  # if all vectors were asked, there are no other links
+            made = _made_ranks(grid, q[:QUERIES], cosine)
+            count = max(count, int(np.sort(made)[min(len(made) - 1, int(np.ceil(TARGET * len(made))) - 1)]) + 1)
+    return min(count, grid.k**2)
 
 
 def _meet(batches: Iterator[pa.RecordBatch], width: int, visits: int) -> Iterator[pa.RecordBatch]:
@@ -165,7 +220,8 @@ def _meet(batches: Iterator[pa.RecordBatch], width: int, visits: int) -> Iterato
         n = batch.num_rows
         b = {k: batch.column(k).to_numpy(zero_copy_only=False) for k in ("rep", "copies", "cell", "home", "share", "member")}
         b["x"] = unit(batch.column("v").to_pylist(), width)
-        b["visits"] = np.stack([np.frombuffer(v, np.int32) for v in batch.column("visits").to_pylist()]) if n else np.zeros((0, visits), np.int32)
+        none = np.full(visits, -1, np.int32).tobytes()  # of others than a cell's own vectors
+        b["visits"] = np.stack([np.frombuffer(v or none, np.int32) for v in batch.column("visits").to_pylist()]) if n else np.zeros((0, visits), np.int32)
         key = np.array(batch.column("key").to_pylist(), object)
         edge = np.append(np.flatnonzero(np.append(True, (key[1:] != key[:-1]) | (b["cell"][1:] != b["cell"][:-1]) | (b["share"][1:] != b["share"][:-1]))), n) if n else np.zeros(1, int)
         for s, e in zip(edge[:-1], edge[1:], strict=True):
@@ -227,12 +283,13 @@ def near_duplicates(embeddings: DataFrame) -> DataFrame:
         sample = unit([r["v"] for r in classes.orderBy(F.xxhash64("h1", "rep"), "rep").limit(SAMPLE).select("v").collect()], width)
         grid = Grid(sample, int(min(MOST_CODES, max(LEAST_CODES, (n / CELL_LOAD) ** 0.5))))
         visits = _visit_count(classes, grid, width)
+        step = grid.step(visits)
         spread = classes.sparkSession.sparkContext.broadcast(grid)
 
         def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                for a in range(0, batch.num_rows, 2048):
-                    part = batch.slice(a, 2048)
+                for a in range(0, batch.num_rows, step):
+                    part = batch.slice(a, step)
                     x = unit(part.column("v").to_pylist(), width)
                     home, seen = spread.value.cells(x), spread.value.visits(x, visits).astype(np.int32)
                     yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("key", "rep", "copies", "v")), pa.array(home), pa.array([r.tobytes() for r in seen], pa.binary()), pa.array(seen.tolist(), pa.list_(pa.int32()))], ["key", "rep", "copies", "v", "home", "visits", "cells"])
@@ -245,7 +302,7 @@ def near_duplicates(embeddings: DataFrame) -> DataFrame:
         # a vector at home opens its own share and joins the shares before it; a visitor joins all shares
         sent = sent.select("*", F.when(F.col("cell") == F.col("home"), mine).otherwise(F.col("shares") - 1).alias("last")).select("*", F.explode(F.sequence(F.lit(0), "last")).alias("share"))
         sent = sent.withColumn("member", F.when((F.col("cell") == F.col("home")) & (F.col("share") == F.col("last")), 0).otherwise(1))
-        met = sent.select("key", "cell", "share", "member", "rep", "copies", "home", "visits", "v").repartition("key", "cell", "share").sortWithinPartitions("key", "cell", "share", "member", "rep")
+        met = sent.select("key", "cell", "share", "member", "rep", "copies", "home", F.when(F.col("member") == 0, F.col("visits")).alias("visits"), "v").repartition("key", "cell", "share").sortWithinPartitions("key", "cell", "share", "member", "rep")
         links = materialize(met.mapInArrow(lambda it: _meet(it, width, visits), "a long, b long, n long"), "vector-links")
     sums = links.where("b is null").groupBy("a").agg(F.sum("n").alias("others")).withColumnRenamed("a", "rep")
     roots = components(links.where("b is not null").select("a", "b")).withColumnRenamed("node", "rep")

@@ -354,6 +354,31 @@ def test_multi_sequence_order():
         assert np.allclose(np.sort(sums)[:25], sums[row]) and (grid.rank(x[i : i + 1], row[:1]) == 0).all()
 
 
+def test_visits_suit_pairs_beside_a_large_group():
+    """One group with 300 queries of 1000 links each at rank 0, and 60 pairs at ranks of up to 700."""
+    group = np.append(np.zeros(300, int), np.arange(1, 61))
+    rank, n = np.append(np.zeros(300, int), np.linspace(1, 700, 60).astype(int)), np.append(np.full(300, 1000), np.ones(60, int))
+    count = embeddings.least_count(group, np.arange(360), rank, n)
+    assert (rank[300:] < count).mean() >= 0.98 and count > 512
+
+
+def test_links_of_rare_pairs_are_found(spark):
+    """A hundred pairs at cosine 0.935 among many others, and one tight group of a third of all vectors."""
+    order = np.random.default_rng(11)
+    norm = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    rest = norm(order.standard_normal((4000, 16)))
+    u = order.standard_normal((100, 16))
+    u = norm(u - (u * rest[:100]).sum(1)[:, None] * rest[:100])
+    group = norm(rest[3999] + 0.004 * order.standard_normal((2000, 16)))
+    x = np.concatenate([rest, 0.935 * rest[:100] + (1 - 0.935**2) ** 0.5 * u, group]).astype(np.float32)
+    frame = spark.createDataFrame([(i, v.tolist(), 0) for i, v in enumerate(x)], "vec_id long, embedding array<float>, label int")
+    got = {r.vec_id: r.n_links for r in embeddings.near_duplicates(frame).collect()}
+    y = norm(x.astype(float))
+    want = (y @ y.T >= 0.93).sum(1) - 1
+    pairs = [*range(100), *range(4000, 4100)]
+    assert sum(got[i] for i in pairs) >= 0.98 * sum(want[i] for i in pairs) and all(got[i] <= want[i] for i in got)
+
+
 def test_html_texts(spark, sf):
     pages = [
         (1, "http://h.x/1", "<html><head><title>t</title><script>var a='</p>';</script></head><body><header>top</header><nav><ul><li>menu</li></ul></nav><article><h1>Title &amp; more</h1><p>One  two<br>three<p>Four<div class='ad'>buy</div><div class='comments'><p>nice</p></div></article><aside>side</aside><footer>f</footer>"),
