@@ -396,6 +396,16 @@ def test_html_texts(spark, sf):
         assert r.n_chars == len(r.text) and r.text
 
 
+def test_furniture_names_leave_articles_whole():
+    page = (
+        '<body class="page has-sidebar"><div class="main-menu">menu</div><article class="post comments-open" id="social"><h2 id="social-impact">Impact</h2>'
+        '<section id="related-work"><p class="side-effects">effects</p></section><div class="entry-header">title</div><h3 class="alert">heading</h3>'
+        '<div class="clearfix related-posts">more</div><div class="ad">buy</div><div class="post-comments">nice</div><ul class="share-buttons"><li>tweet</ul><h4 hidden>gone</h4></article></body>'
+    )
+    assert html_text.blocks(page)[0] == ["Impact", "effects", "title", "heading"]
+    assert html_text.blocks('<body class="no-sidebar"><main id="content-nav"><p>kept</p></main></body>')[0] == ["kept"]
+
+
 def test_equal_pages_of_a_host_are_one_page(spark):
     body = "<div>a notice that stands on every page of this host</div><p>{}</p>"
     pages = [(i, "http://d.x/" + str(i), body.format(t)) for i, t in ((1, "one text crawled twice under two ids"), (2, "one text crawled twice under two ids"), (3, "another text"))]
