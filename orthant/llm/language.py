@@ -12,8 +12,9 @@ lets runs of many texts advance together.
 Defined cases: a null text, or one without a letter, is ``und`` with score 0; a null lang is never learnt
 from; a null doc_id is predicted, not held out and never learnt from; repeated rows are predicted alike;
 ties go to the language first in order; an empty table gives an empty result; with no labelled row all
-texts are ``und`` with score 0. Extra columns are ignored. The model is fitted on a bounded sample:
-``PER_LANGUAGE`` texts, of ``LANGUAGES`` languages at most (those with most texts).
+texts are ``und`` with score 0. Extra columns are ignored. The model is fitted on a bounded sample of every
+language: ``PER_LANGUAGE`` texts, and of each up to ``PIECES`` pieces of ``PIECE`` words that hashes choose
+among all its words. More than ``LANGUAGES`` languages raise an error, as none is left out.
 """
 
 from __future__ import annotations
@@ -31,8 +32,9 @@ from . import kernels as K
 from .shared import id_remainder, text_parts
 
 PER_LANGUAGE = 250
-#: Words of a sampled text that training sequences are spliced from, at most.
-TRAIN_WORDS = 400
+#: Words of a piece that training sequences are spliced from; pieces of a sampled text, at most.
+PIECE, PIECES = 20, 20
+#: The tables of weights take about 5 MB a language where the model is fitted.
 LANGUAGES = 200
 RUN = 64
 BITS = 16
@@ -149,8 +151,8 @@ def train(texts: list[tuple[str, int]], languages: tuple[str, ...], epochs: int
     order = np.random.default_rng(seed)
     pieces = []  # runs of words of one language; a sequence is three of them
     for text, label in texts:
-        words = text.split()[:TRAIN_WORDS]
-        pieces += [(" ".join(words[a : a + 20]), label) for a in range(0, len(words), 20)]
+        words = text.split()
+        pieces += [(" ".join(words[a : a + PIECE]), label) for a in range(0, len(words), PIECE)]
     for epoch in range(epochs):
         places = order.permutation(len(pieces))
         for a in range(0, len(places), 384):
@@ -185,8 +187,23 @@ def train(texts: list[tuple[str, int]], languages: tuple[str, ...], epochs: int
     return Tagger(languages, weight, jump, prior)
 
 
+def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts of the pieces that hashes choose among all of each text, in their order."""
+    for batch in batches:
+        out = []
+        for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
+            words = (text or "").split()
+            n = -(-len(words) // PIECE)
+            order = K.mix(np.arange(n, dtype=_U) + K.mix(np.array([doc], np.int64).view(_U)))
+            chosen = np.sort(order.argsort(kind="stable")[:PIECES])
+            out.append(" ".join(w for i in chosen.tolist() for w in words[i * PIECE : (i + 1) * PIECE]))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("lang"), pa.array(out, pa.string())], ["doc_id", "lang", "text"])
+
+
 def _sample(labelled: DataFrame) -> tuple[list[tuple[str, int]], tuple[str, ...]]:
-    counts = labelled.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES).collect()
+    counts = labelled.groupBy("lang").agg(F.count("*").alias("n")).limit(LANGUAGES + 1).collect()
+    if len(counts) > LANGUAGES:
+        raise ValueError(f"more than {LANGUAGES} languages to learn")
     languages = tuple(sorted(r["lang"] for r in counts))
     if not languages:
         return [], ()
@@ -197,8 +214,8 @@ def _sample(labelled: DataFrame) -> tuple[list[tuple[str, int]], tuple[str, ...]
     ids = labelled.where(place < bars[F.col("lang")]).select("doc_id", "lang", place.alias("place"))
     ids = ids.withColumn("turn", F.row_number().over(Window.partitionBy("lang").orderBy("place", "doc_id"))).where(F.col("turn") <= PER_LANGUAGE).select("doc_id").distinct()
     # at most LANGUAGES * PER_LANGUAGE ids
-    start = F.substring_index(F.trim(F.regexp_replace(F.coalesce("text", F.lit("")), r"\s+", " ")), " ", TRAIN_WORDS)
-    rows = labelled.join(F.broadcast(ids), "doc_id").select("doc_id", "lang", start.alias("text")).dropDuplicates(["doc_id"]).collect()
+    chosen = labelled.join(F.broadcast(ids), "doc_id").select("doc_id", "lang", "text")
+    rows = chosen.mapInArrow(_pieces, "doc_id long, lang string, text string").dropDuplicates(["doc_id"]).collect()
     where = {x: i for i, x in enumerate(languages)}
     return [(r["text"], where[r["lang"]]) for r in sorted(rows, key=lambda r: r["doc_id"]) if r["lang"] in where and _LETTER.search(r["text"])], languages
 

@@ -448,6 +448,20 @@ def test_sorted_suffixes_give_lengths_and_cover_of_repeated_runs(spark, share):
     assert cover(got) == cover(longest)
 
 
+def test_language_learns_from_late_words_and_every_label(spark):
+    order = np.random.default_rng(4)
+    make = lambda letters: ["".join(order.choice(list(letters), 6)) for _ in range(60)]
+    vocabulary, filler = {"aa": make("abcdefgh"), "bb": make("stuvwxyz")}, make("ijklmnop")
+    text = lambda words, n: " ".join(order.choice(words, n))
+    rows = [(i, text(filler, 450) + " " + text(vocabulary[k], 600), k) for i, k in enumerate(["aa", "bb"] * 40)]
+    rows += [(1000 + i, text(vocabulary[k], 30), None) for i, k in enumerate(["aa", "bb"] * 20)]
+    got = {r.doc_id: r.lang_pred for r in language.language_predictions(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert all(got[1000 + i] == k for i, k in enumerate(["aa", "bb"] * 20))
+    many = spark.createDataFrame([(i, f"word{i}", f"l{i}") for i in range(400)], "doc_id long, text string, lang string")
+    with pytest.raises(ValueError, match="languages"):
+        language.language_predictions(many)
+
+
 def test_language(spark, hard, empty):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = language.language_predictions(docs).join(docs.select("doc_id", "lang"), "doc_id").toPandas()
