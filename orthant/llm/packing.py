@@ -17,6 +17,7 @@ length is cut over as many sequences as it needs. Extra columns are ignored. The
 from __future__ import annotations
 
 import base64
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -35,6 +36,9 @@ MAX_SOURCES = 1_000_000
 #: Documents in one stretch of a queue, about; a stretch is put in order by one task.
 STRETCH = 2000
 
+#: A run of this many blanks is beyond the fast tokenizer; its text goes to the reference one.
+LONG_BLANK = re.compile(r"\s{2000}")
+
 _encoders: dict[int, object] = {}
 
 
@@ -48,17 +52,35 @@ def _encoder(ranks_file: bytes, pattern: str, special: dict[str, int]):
     return _encoders[key]
 
 
-def tokenized(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str, int], closing_id: int = CLOSING_ID) -> DataFrame:
-    """(rid, doc_id, source, doc_tokens, ids): ids as little-endian uint32, with the closing id."""
-    with open(ranks_path, "rb") as f:  # part of the installation, on the driver; workers get its bytes
-        spread = documents.sparkSession.sparkContext.broadcast(f.read())
+def _reference(model: bytes):
+    key = hash(("reference", len(model), model[-64:]))
+    if key not in _encoders:
+        import tokenizers
+
+        _encoders[key] = tokenizers.Tokenizer.from_str(model.decode())
+    return _encoders[key]
+
+
+def tokenized(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str, int], model_path: str, closing_id: int = CLOSING_ID) -> DataFrame:
+    """(rid, doc_id, source, doc_tokens, ids): ids as little-endian uint32, with the closing id. Both files hold the
+    same vocabulary."""
+    read = []
+    for path in (ranks_path, model_path):  # parts of the installation, on the driver; workers get their bytes
+        with open(path, "rb") as f:
+            read.append(documents.sparkSession.sparkContext.broadcast(f.read()))
+    spread, model = read
+
+    def encoded(encoder, text: str) -> list[int]:
+        if LONG_BLANK.search(text):
+            return _reference(model.value).encode(text, add_special_tokens=False).ids
+        return encoder.encode(text, allowed_special="all")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = _encoder(spread.value, pattern, special)
         for batch in batches:
             texts, n = batch.column("text"), batch.num_rows
             for a in range(0, n, 512):
-                ids = [np.array([*encoder.encode(t, allowed_special="all"), closing_id], np.uint32) for t in texts.slice(a, 512).to_pylist()]
+                ids = [np.array([*encoded(encoder, t), closing_id], np.uint32) for t in texts.slice(a, 512).to_pylist()]
                 part = batch.slice(a, 512)
                 yield pa.RecordBatch.from_arrays([part.column("rid"), part.column("doc_id"), part.column("source"), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype("<u2" if not len(x) or x.max() < 65536 else "<u4").tobytes() for x in ids], pa.binary())], ["rid", "doc_id", "source", "doc_tokens", "packed"])
 
@@ -107,9 +129,9 @@ def positions(docs: DataFrame, window_tokens: int, targets: dict[str | None, flo
     return d.withColumn("in_window", F.sum("doc_tokens").over(turn) - F.col("doc_tokens")).join(starts, F.col("window") == F.col("w2")).select("rid", "window", (F.col("in_window") + F.col("window_head")).alias("position"))
 
 
-def pack(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str, int], length: int = LENGTH, window_sequences: int = WINDOW_SEQUENCES, targets: dict[str | None, float] | None = None, closing_id: int = CLOSING_ID) -> DataFrame:
+def pack(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str, int], model_path: str, length: int = LENGTH, window_sequences: int = WINDOW_SEQUENCES, targets: dict[str | None, float] | None = None, closing_id: int = CLOSING_ID) -> DataFrame:
     """Pieces: doc_id, start, length, doc_tokens, sequence_id, offset, window, ids (little-endian uint32)."""
-    docs = materialize(tokenized(documents, ranks_path, pattern, special, closing_id), "pack-ids")
+    docs = materialize(tokenized(documents, ranks_path, pattern, special, model_path, closing_id), "pack-ids")
     placed = positions(docs, length * window_sequences, targets)
     joined = docs.join(placed.hint("shuffle_hash"), "rid")
 
@@ -138,7 +160,7 @@ def packed_public(documents: DataFrame) -> DataFrame:
     """The pieces with the public byte-level BPE vocabulary."""
     import public_tokenizers
 
-    pieces = pack(documents, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, {"<|endoftext|>": 50256})
+    pieces = pack(documents, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, {"<|endoftext|>": 50256}, public_tokenizers.path("byte_bpe_50k.json"))
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset", "ids")
 
 
