@@ -4,15 +4,16 @@ A source's target over its size is the number of copies each of its words is owe
 certain: every document gets that many copies. The rest is a probability p < 1, for which documents are
 ranked by random odds over inclusion odds, (u / (1 - u)) / (p / (1 - p)), u a hash of the document's id.
 The sample is fixed in size, in words: documents are taken in rank order as long as the words owed last,
-and one more document, the one whose size is nearest to what is still owed, closes most of the rest.
+and one more document, the one whose size is nearest to what is still owed, closes most of the rest. Of rows with
+one id and size, which share a rank, as many are taken as are owed; only such rows at the cut are numbered.
 
 The cut in rank order is found without sorting a source in one task: words are summed by coarse, then
 fine classes of the rank's logarithm, and only the one fine class in which the words owed run out is put
 in order. Each source is described by one row; up to ``BROADCAST_SOURCES`` of them are broadcast.
 
 Defined cases: a null or empty text has size 0, takes 0; a null source is a source of its own, last in
-order; null ids are ids like others; the rank depends on id and size alone, and repeated rows with both
-alike rise and fall together, so that reruns agree; an empty table gives an empty result; if all sizes
+order; null ids are ids like others; the rank depends on id and size alone; of repeated rows
+with both alike any may be taken, but as many in every rerun; an empty table gives an empty result; if all sizes
 are 0, all targets are 0. Extra columns are handed on by ``mixed_documents``, whatever their names.
 """
 
@@ -92,13 +93,21 @@ def copies_plan(sized: DataFrame, targets: DataFrame) -> DataFrame:
     level2 = cut(ranked(plan1).where("coarse = cut1"), "fine", plan1, "spent1").select("of3", F.col("fine").alias("cut2"), F.col("spent").alias("spent2"))
     plan2 = materialize(plan1.join(level2, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-fine")
     place = F.struct("odds", "doc_id", "size")
-    inside = ranked(plan2).where("fine = cut2").withColumn("place", place)
-    inside = inside.withColumn("until", F.sum("size").over(Window.partitionBy("of").orderBy("place")) + F.col("spent2")).where("until <= owed")
-    last = inside.groupBy("of").agg(F.max("place").alias("last"), F.max("until").alias("spent3")).withColumnRenamed("of", "of3")
-    plan3 = materialize(plan2.join(last, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3").withColumn("rest", F.col("owed") - F.coalesce("spent3", "spent2", F.lit(0))), "mix-cut")
+    # rows of one place are alike: the first place that doesn't fit in whole gives some of its rows
+    inside = ranked(plan2).where("fine = cut2").groupBy("of", "owed", "spent2", place.alias("place")).agg(F.count("*").alias("mates"))
+    words = F.col("place.size") * F.col("mates")
+    inside = inside.withColumn("until", F.sum(words).over(Window.partitionBy("of").orderBy("place")) + F.col("spent2"))
+    fits = F.col("until") <= F.col("owed")
+    part = F.floor((F.col("owed") - F.col("until") + words) / F.col("place.size")).cast("long")
+    last = inside.groupBy(F.col("of").alias("of3")).agg(F.max(F.when(fits, F.col("place"))).alias("last"), F.max(F.when(fits, F.col("until"))).alias("spent3"), F.min(F.when(~fits, F.struct("place", part.alias("take"), "mates"))).alias("edge"))
+    left = F.col("owed") - F.coalesce("spent3", "spent2", F.lit(0)) - F.coalesce(F.col("edge.take") * F.col("edge.place.size"), F.lit(0))
+    plan3 = materialize(plan2.join(last, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3").withColumn("rest", left), "mix-cut")
     gap = F.abs(F.col("size") - F.col("rest"))
-    close = ranked(plan3).where(~_in_order() & (gap < F.col("rest"))).groupBy("of").agg(F.min(F.struct(gap.alias("gap"), F.col("odds"), F.col("doc_id"), F.col("size"))).alias("extra"))
-    extra = close.select(F.col("of").alias("of3"), F.struct("extra.odds", "extra.doc_id", "extra.size").alias("extra"))
+    close = ranked(plan3).where(~_in_order() & (gap < F.col("rest"))).groupBy("of", "odds", "doc_id", "size", gap.alias("gap"), "edge").agg(F.count("*").alias("mates"))
+    # rows at the edge that are all taken are no candidates
+    spare = F.col("mates") > F.when(F.coalesce(place == F.col("edge.place"), F.lit(False)), F.col("edge.take")).otherwise(0)
+    close = close.where(spare).groupBy("of").agg(F.min(F.struct("gap", "odds", "doc_id", "size", "mates")).alias("extra"))
+    extra = close.select(F.col("of").alias("of3"), F.struct(F.struct("extra.odds", "extra.doc_id", "extra.size").alias("place"), F.lit(1).cast("long").alias("take"), F.col("extra.mates").alias("mates")).alias("extra"))
     return materialize(plan3.join(extra, F.col("of").eqNullSafe(F.col("of3")), "left").drop("of3"), "mix-plan")
 
 
@@ -110,15 +119,29 @@ def _in_order() -> Column:
 def with_copies(sized: DataFrame, plan: DataFrame, few: bool) -> DataFrame:
     """``sized`` (doc_id, source, size and more) with source_size, target and copies."""
     u, p = _u(), F.col("p")
-    extra = F.coalesce(F.struct("odds", "doc_id", "size") == F.col("extra"), F.lit(False))
-    return (
+    here = lambda e: F.coalesce(F.struct("odds", "doc_id", "size") == F.col(f"{e}.place"), F.lit(False))
+    take = F.when(here("edge"), F.col("edge.take")).otherwise(0) + F.when(here("extra"), 1).otherwise(0)
+    mates = F.greatest(F.when(here("edge"), F.col("edge.mates")), F.when(here("extra"), F.col("extra.mates")), F.lit(1))
+    marked = (
         sized.join(F.broadcast(plan) if few else plan, F.col("source").eqNullSafe(F.col("of")))
         .withColumn("odds", F.when(p > 0, u / (1 - u) * ((1 - p) / F.when(p > 0, p).otherwise(1.0))))
         .withColumn("fine", F.floor((F.log("odds") + 100.0) * 16 * 4096).cast("long"))
-        .withColumn("sampled", (p > 0) & (F.col("size") > 0) & (_in_order() | extra))
-        .select(*sized.columns, "source_size", "target", (F.col("whole") + F.when(F.col("sampled"), 1).otherwise(0)).cast("long").alias("copies"))
+        .withColumn("live", (p > 0) & (F.col("size") > 0)).withColumn("take", F.when(F.col("live"), take).otherwise(0)).withColumn("mates", F.when(F.col("live"), mates).otherwise(1))
     )
 
+    def done(rows: DataFrame, sampled: Column) -> DataFrame:
+        return rows.select(*sized.columns, "source_size", "target", (F.col("whole") + F.when(F.col("live") & (_in_order() | sampled), 1).otherwise(0)).cast("long").alias("copies"))
+
+    if plan.where("edge.mates > 1 or extra.mates > 1").isEmpty():
+        return done(marked, F.col("take") > 0)
+    # rows alike at a cut are numbered within their partitions, from the numbers of those in the partitions before
+    group = F.xxhash64(F.col("of").isNull(), "of", "odds", F.col("doc_id").isNull(), "doc_id", "size")
+    alike = marked.where("mates > 1 and take > 0").withColumn("alike", group).withColumn("rid", F.monotonically_increasing_id())
+    alike = materialize(alike.withColumn("part", F.shiftright("rid", 33)), "mix-alike")
+    before = alike.groupBy("alike", "part").agg(F.count("*").alias("n")).withColumn("head", F.sum("n").over(Window.partitionBy("alike").orderBy("part")) - F.col("n")).drop("n")
+    numbered = alike.withColumn("number", F.row_number().over(Window.partitionBy("alike", "part").orderBy("rid"))).join(before, ["alike", "part"])
+    return done(marked.where("mates = 1 or take = 0"), F.col("take") > 0).unionByName(done(numbered, F.col("number") + F.col("head") <= F.col("take")))
+
 
 def plan_of(documents: DataFrame, weights: tuple[int, ...], share: float, most: float) -> tuple[DataFrame, DataFrame, bool]:
     """(doc_id, source, size of every row; the plan by source; whether the plan may be broadcast)."""
@@ -174,14 +197,14 @@ WITH sized AS (
 ), ranked AS (
   SELECT *, CASE WHEN p > 0 THEN u / (1 - u) * ((1 - p) / p) END AS rank_value FROM odds
 ), running AS (
-  SELECT *, sum(CASE WHEN p > 0 THEN size ELSE 0 END) OVER (PARTITION BY source ORDER BY rank_value, doc_id, size) AS until FROM ranked
+  SELECT *, sum(CASE WHEN p > 0 THEN size ELSE 0 END) OVER (PARTITION BY source ORDER BY rank_value, doc_id, size ROWS UNBOUNDED PRECEDING) AS until FROM ranked
 ), chosen AS (
   SELECT *, p > 0 AND size > 0 AND until <= owed AS taken_in_order FROM running
 ), rest AS (
   SELECT *, owed - coalesce(sum(CASE WHEN taken_in_order THEN size END) OVER (PARTITION BY source), 0) AS rest FROM chosen
 ), closing AS (
   SELECT *, p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest AS may_close,
-         rank() OVER (PARTITION BY source, (p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest) ORDER BY abs(size - rest), rank_value, doc_id, size) AS turn
+         row_number() OVER (PARTITION BY source, (p > 0 AND size > 0 AND NOT taken_in_order AND abs(size - rest) < rest) ORDER BY abs(size - rest), rank_value, doc_id, size) AS turn
   FROM rest
 )
 SELECT doc_id, size, source_size, target, size * (whole + CASE WHEN taken_in_order OR (may_close AND turn = 1) THEN 1 ELSE 0 END) AS taken FROM closing
