@@ -273,7 +273,11 @@ def near_duplicates(embeddings: DataFrame) -> DataFrame:
     v = F.col("embedding")
     sound = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & v.isNotNull() & (F.size(v) > 0)
     sound &= ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists(v, lambda x: x != 0)
-    keyed = embeddings.select("vec_id", F.coalesce(sound, F.lit(False)).alias("sound"), F.concat_ws("|", F.col("label").cast("string"), F.size(v).cast("string")).alias("key"), F.transform(v, lambda x: x.cast("float") + F.lit(0.0).cast("float")).alias("v"))
+    # floats stay floats; other components are doubles, scaled so that no square overflows or vanishes
+    kind = "float" if embeddings.schema["embedding"].dataType.elementType.typeName() == "float" else "double"
+    most = F.array_max(F.transform(v, lambda x: F.abs(x.cast("double"))))
+    as_kind = F.transform(v, lambda x: x + F.lit(0.0).cast("float")) if kind == "float" else F.transform(v, lambda x: F.coalesce(x.cast("double") / F.when(most > 0, most), F.lit(0.0)) + F.lit(0.0))
+    keyed = embeddings.select("vec_id", F.coalesce(sound, F.lit(False)).alias("sound"), F.concat_ws("|", F.col("label").cast("string"), F.size(v).cast("string")).alias("key"), as_kind.alias("v"))
     rows = materialize(keyed.withColumn("h1", F.xxhash64("v")).withColumn("h2", F.hash("v")), "vectors")
     grouped = rows.where("sound").groupBy("key", "h1", "h2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies"), F.first("v").alias("v"))
     classes = materialize(grouped, "vector-classes")
@@ -294,7 +298,7 @@ def near_duplicates(embeddings: DataFrame) -> DataFrame:
                     home, seen = spread.value.cells(x), spread.value.visits(x, visits).astype(np.int32)
                     yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("key", "rep", "copies", "v")), pa.array(home), pa.array([r.tobytes() for r in seen], pa.binary()), pa.array(seen.tolist(), pa.list_(pa.int32()))], ["key", "rep", "copies", "v", "home", "visits", "cells"])
 
-        indexed = materialize(classes.select("key", "rep", "copies", "v").mapInArrow(index, "key string, rep long, copies long, v array<float>, home long, visits binary, cells array<int>"), "vector-index")
+        indexed = materialize(classes.select("key", "rep", "copies", "v").mapInArrow(index, f"key string, rep long, copies long, v array<{kind}>, home long, visits binary, cells array<int>"), "vector-index")
         loads = indexed.groupBy("key", "home").agg(F.ceil(F.count("*") / F.lit(float(SHARE))).cast("int").alias("shares")).withColumnRenamed("home", "cell")
         cells = F.array_distinct(F.concat(F.array("home"), F.transform("cells", lambda c: c.cast("long"))))
         sent = indexed.select("*", F.explode(cells).alias("cell")).drop("cells").join(loads, ["key", "cell"])
