@@ -6,8 +6,9 @@ sequences are spliced from texts of different languages, so that switches inside
 gradient comes from forward-backward. A text's prediction is the language with the most posterior mass
 over all its words, and the score is that language's share of the mass.
 
-A long text is cut into runs of ``RUN`` words, each a sequence of its own, which covers every word and
-lets runs of many texts advance together.
+A text is one chain. To let all parts of many texts advance together it is cut into runs of ``RUN`` words; the
+product of a run's transfer matrices carries messages from one run to the next, so that posteriors are those of the
+whole chain. Runs grow where these products would take more than ``PRODUCTS`` numbers.
 
 Defined cases: a null text, or one without a letter, is ``und`` with score 0; a null lang is never learnt
 from; a null doc_id is predicted, not held out and never learnt from; repeated rows are predicted alike;
@@ -36,7 +37,7 @@ PER_LANGUAGE = 250
 PIECE, PIECES = 20, 20
 #: The tables of weights take about 5 MB a language where the model is fitted.
 LANGUAGES = 200
-RUN = 64
+RUN, PRODUCTS = 64, 8_000_000
 BITS = 16
 #: Characters of an affix; inner n-grams; the last family is the whole word.
 AFFIXES, NGRAMS = (1, 2, 3), (2, 3, 4)
@@ -130,18 +131,89 @@ def posteriors(scores: np.ndarray, jump: np.ndarray, prior: np.ndarray, length:
     return gamma, pairs, log_z
 
 
-def as_runs(scores: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def as_runs(scores: np.ndarray, bounds: np.ndarray, run: int = RUN) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Words cut into runs inside texts: (padded scores, lengths, index of each run's first word)."""
     n = np.diff(bounds)
-    count = (n + RUN - 1) // RUN
+    count = (n + run - 1) // run
     text = np.repeat(np.arange(len(n)), count)
     k = np.arange(len(text)) - np.repeat(np.cumsum(count) - count, count)
-    first = bounds[text] + k * RUN
-    length = np.minimum(RUN, bounds[text + 1] - first)
-    index = np.minimum(first[:, None] + np.arange(RUN)[None, :], max(len(scores) - 1, 0))
+    first = bounds[text] + k * run
+    length = np.minimum(run, bounds[text + 1] - first)
+    index = np.minimum(first[:, None] + np.arange(run)[None, :], max(len(scores) - 1, 0))
     return scores[index], length, first
 
 
+def chain_mass(scores: np.ndarray, jump: np.ndarray, prior: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """texts x labels: sums of the label posteriors of all words of each text, a text being one chain."""
+    k, n = len(prior), np.diff(bounds)
+    out = np.zeros((len(n), k))
+    if not len(scores):
+        return out
+    run = max(RUN, int(-(-len(scores) * k * k // PRODUCTS)))
+    run = min(run, int(n.max()))
+    e, length, first = as_runs(scores, bounds, run)
+    e = np.exp(e - e.max(axis=2, keepdims=True))
+    text = np.searchsorted(bounds, first, side="right") - 1
+    rank = (first - bounds[text]) // run
+    t = np.exp(jump - jump.max()).astype(e.dtype)
+    start = np.exp(prior - prior.max()).astype(e.dtype)
+    live = np.arange(run)[None, :] < length[:, None]
+    several = bool((rank > 0).any())
+    product = None
+    if several:  # of T diag(e) over a run's words
+        product = np.broadcast_to(np.eye(k, dtype=e.dtype), (len(first), k, k)).copy()
+        for i in range(run):
+            step = (product @ t) * e[:, i, None, :]
+            step /= np.maximum(step.max(axis=(1, 2), keepdims=True), 1e-30)
+            product = np.where(live[:, i, None, None], step, product)
+    enter = np.tile(start, (len(first), 1))
+    if several:
+        one = rank == 0
+        # a first run begins with the prior instead of a transition
+        now = e[one, 0] * start
+        for i in range(1, run):
+            step = (now @ t) * e[one, i]
+            now = np.where(live[one, i][:, None], step / np.maximum(step.sum(axis=1, keepdims=True), 1e-30), now)
+        # message after each first run, then on through the products
+        after = np.zeros((len(first), k), e.dtype)
+        after[one] = now / np.maximum(now.sum(axis=1, keepdims=True), 1e-30)
+        # out[r] is the message after run r: that after run r - 1 times run r's product
+        order = np.argsort(rank, kind="stable")
+        edges = np.searchsorted(rank[order], np.arange(rank.max() + 2))
+        for turn in range(1, len(edges) - 1):
+            at = order[edges[turn] : edges[turn + 1]]
+            got = np.einsum("rk,rkj->rj", after[at - 1], product[at])
+            after[at] = got / np.maximum(got.sum(axis=1, keepdims=True), 1e-30)
+            enter[at] = after[at - 1]
+    forward = np.empty_like(e)
+    now = enter
+    for i in range(run):
+        if i:
+            now = (now @ t) * e[:, i]
+        else:
+            now = np.where((rank == 0)[:, None], enter * e[:, 0], (enter @ t) * e[:, 0])
+        now = now / np.maximum(now.sum(axis=1, keepdims=True), 1e-30)
+        forward[:, i] = now
+    leave = np.ones((len(first), k), e.dtype)
+    if several:
+        from_end = np.repeat(np.bincount(text, minlength=len(n))[n > 0], np.bincount(text, minlength=len(n))[n > 0]) - 1 - rank
+        order = np.argsort(from_end, kind="stable")
+        edges = np.searchsorted(from_end[order], np.arange(from_end.max() + 2))
+        for turn in range(1, len(edges) - 1):
+            at = order[edges[turn] : edges[turn + 1]]
+            got = np.einsum("rjk,rk->rj", product[at + 1], leave[at + 1])
+            leave[at] = got / np.maximum(got.sum(axis=1, keepdims=True), 1e-30)
+    backward, mass = leave, np.zeros((len(first), k))
+    for i in range(run - 1, -1, -1):
+        on = live[:, i, None]
+        g = forward[:, i] * backward
+        mass += np.where(on, g / np.maximum(g.sum(axis=1, keepdims=True), 1e-30), 0)
+        v = (e[:, i] * backward) @ t.T
+        backward = np.where(on, v / np.maximum(v.sum(axis=1, keepdims=True), 1e-30), backward)
+    np.add.at(out, text, mass)
+    return out
+
+
 def train(texts: list[tuple[str, int]], languages: tuple[str, ...], epochs: int = 6, seed: int = 5) -> Tagger:
     """Stochastic gradient ascent on the likelihood of spliced sequences. ``texts``: (text, language's index)."""
     k = len(languages)
@@ -233,11 +305,7 @@ def predict(documents: DataFrame, tagger: Tagger | None) -> DataFrame:
                 families, words, bounds = features(buf, off)
                 if not words:
                     continue
-                scores, length, first = as_runs(emissions(families, words, m.emission), bounds)
-                gamma, _, _ = posteriors(scores, m.jump.astype(np.float32), m.prior.astype(np.float32), length)
-                text = np.searchsorted(bounds, first, side="right") - 1
-                mass = np.zeros((b - a, len(m.languages)))
-                np.add.at(mass, text, gamma.sum(axis=1))
+                mass = chain_mass(emissions(families, words, m.emission), m.jump, m.prior, bounds)
                 best, total = mass.argmax(axis=1), np.maximum(mass.sum(axis=1), 1e-30)
                 for i in np.flatnonzero(lettered[a:b]):
                     label[a + i], score[a + i] = m.languages[best[i]], min(1.0, mass[i, best[i]] / total[i])
