@@ -516,3 +516,103 @@ def test_pipeline_stages(spark, sf):
     taken = {r.doc_id: r.taken // max(r.size, 1) for r in mixing.taken_words(seen[3]).collect()}
     assert collections.Counter(r.doc_id for r in seen[4].collect()) == collections.Counter({k: v for k, v in taken.items() if v})
     assert seen[5].agg(F.sum("length")).first()[0] == seen[5].where("start = 0").agg(F.sum("doc_tokens")).first()[0]
+
+
+def test_mix_takes_as_many_repeated_rows_as_are_owed(spark):
+    rows = [(7, "a b c", "s")] * 100 + [(None, "a b", "t")] * 100 + [(i, "w " * (i % 9 + 1), "u") for i in range(300)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(7)
+    got = mixing.taken_words(frame).groupBy("source_size").agg(F.sum("taken").alias("taken"), F.first("target").alias("target"), F.max(F.col("taken") - 2 * F.col("size"))).collect()
+    assert len(got) == 3 and all(abs(r["taken"] - r["target"]) <= 2 and r[3] <= 0 for r in got)
+    assert mixing.mixed_documents(frame).groupBy("source").count().count() == 3
+
+
+def test_representatives_hand_on_columns_of_any_name(spark):
+    text = "one two three four five six seven eight nine ten"
+    frame = spark.createDataFrame([(1, text, 1, 2, 3, 4), (2, text, 5, 6, 7, 8), (2, text, 9, 10, 11, 12), (3, "other words", 0, 0, 0, 0)], "doc_id long, text string, gone int, _twice int, _worded int, `a.b` int")
+    got = jaccard.representatives(frame)
+    assert got.columns == frame.columns
+    assert sorted(tuple(r)[:1] + tuple(r)[2:] for r in got.collect()) == [(1, 1, 2, 3, 4), (3, 0, 0, 0, 0)]
+
+
+def test_bitmaps_bound_the_overlap():
+    order = np.random.default_rng(4)
+    for _ in range(200):
+        a = order.integers(0, 1 << 63, order.integers(1, 400)).astype(np.uint64)
+        b = np.unique(np.concatenate([order.choice(a, order.integers(0, len(a) + 1), replace=False), order.integers(0, 1 << 63, order.integers(1, 400)).astype(np.uint64)]))
+        a = np.unique(a)
+        shared = len(np.intersect1d(a, b))
+        most = jaccard.most_overlap(jaccard.bitmap(a), jaccard.bitmap(b), len(a), len(b))
+        assert shared <= most
+        if 0.75 <= len(a) / len(b) <= 4 / 3:  # sizes of possible partners
+            assert most <= shared + 0.35 * min(len(a), len(b)) + 4
+
+
+def test_very_frequent_pairs_leave_the_buckets(spark, monkeypatch):
+    order, base = np.random.default_rng(6), [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(w if order.random() > 0.015 else f"x{order.integers(1000)}" for w in base)) for i in range(150)]
+    rows += [(200 + i, " ".join(f"y{order.integers(200)}" for _ in range(30))) for i in range(30)]
+    plain = jaccard.frequent_buckets
+    monkeypatch.setattr(jaccard, "frequent_buckets", lambda counts: plain(counts, hot=20))
+    got = jaccard.join_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {r.doc_id: r.component_id for r in got} == brute_components(rows)
+
+
+def test_packing_very_long_blanks(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    text = "a" + " " * 1_000_000 + "b"
+    want = len(Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")).encode(text, add_special_tokens=False).ids) + 1
+    got = packing.packed_digests(spark.createDataFrame([(1, text, "s")], "doc_id long, text string, source string")).collect()
+    assert sum(r["length"] for r in got) == want == got[0]["doc_tokens"]
+
+
+def test_embeddings_in_double_precision(spark):
+    rows = [(1, [1e200, 2e200], 1), (2, [2e200, 4e200], 1), (3, [1e-200, 2e-200], 1), (4, [-1.0, 2.0], 1)]
+    got = embeddings.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")).collect()
+    assert {r.vec_id: (r.n_links, r.component_id) for r in got} == {1: (2, 1), 2: (2, 1), 3: (2, 1), 4: (0, 4)}
+
+
+def test_texts_are_whole_chains():
+    order = np.random.default_rng(3)
+    n = np.array([0, 3, 200, 64, 65, 1, 700, 0, 129])
+    bounds = np.append(0, np.cumsum(n))
+    scores, jump, prior = order.normal(0, 2, (bounds[-1], 4)), order.normal(0, 1, (4, 4)), order.normal(0, 1, 4)
+    got = language.chain_mass(scores, jump, prior, bounds)
+    for i, m in enumerate(n):
+        want = language.posteriors(scores[None, bounds[i] : bounds[i + 1]], jump, prior, np.array([m]))[0][0].sum(0) if m else np.zeros(4)
+        assert np.allclose(got[i], want)
+
+
+def test_furniture_without_end_tags_ends_where_html_says():
+    page = '<article><h1>T</h1><p>before</p><ul><li class="related">a<ul><li>x</ul><li>b<li>c</ul><p>after<p class="share">s<p>real<dl><dt class="related">q<dd>d</dl></article>'
+    assert html_text.blocks(page)[0] == ["T", "before", "b", "c", "after", "real", "d"]
+
+
+def test_packing_rounds_are_those_of_the_deficit_loop(spark):
+    """A loop over rounds that grants each queue its share and lets it overdraw by its last document."""
+    order = np.random.default_rng(9)
+    rows = [(i, i, "abc"[int(order.choice(3, p=[0.6, 0.3, 0.1]))], int(order.integers(1, 400))) for i in range(900)]
+    docs = spark.createDataFrame(rows, "rid long, doc_id long, source string, doc_tokens long")
+    window = 4096
+    for targets in (None, {"a": 0.2, "b": 0.5, "c": 0.3}):
+        placed = packing.positions(docs, window, targets).join(docs.select("rid", "source", "doc_tokens"), "rid").toPandas().sort_values("position")
+        total = placed.groupby("source")["doc_tokens"].sum()
+        share = {s: t / total.sum() for s, t in total.items()} if targets is None else targets
+        queues = {s: list(g["doc_tokens"]) for s, g in placed.groupby("source")}
+        sent, granted, n, got = dict.fromkeys(queues, 0), dict.fromkeys(queues, 0.0), 0, []
+        while any(queues.values()):
+            left, rest = float(window), {s for s in queues if granted[s] < total[s] - 1e-6}
+            while rest and left > 1e-6:  # shares of dry queues go to the others
+                open_share = sum(share[s] for s in rest)
+                step = min(left / open_share, min((total[s] - granted[s]) / share[s] for s in rest))
+                for s in rest:
+                    granted[s] += step * share[s]
+                left -= step * open_share
+                rest = {s for s in rest if granted[s] < total[s] - 1e-6}
+            for s in sorted(queues):
+                while queues[s] and sent[s] < granted[s] - 1e-6:
+                    sent[s] += queues[s][0]
+                    got.append((n, s, queues[s].pop(0)))
+            n += 1
+        assert got == [(r.window, r.source, r.doc_tokens) for r in placed.itertuples()], targets
