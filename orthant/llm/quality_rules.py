@@ -3,8 +3,8 @@
 For each language and source a minimum-covariance-determinant estimate of transformed statistics is
 found by concentration steps over all its rows: distances are computed, the nearest ``SUBSET`` share of
 rows gives the next mean and covariance, and so on. ``STARTS`` starts (one of medians and absolute
-deviations, the others of some ``START_ROWS`` rows each) go side by side until no determinant falls by more than
-``SETTLED`` of itself, and the least determinant wins; it is then reweighted: mean and covariance of all rows within
+deviations, the others of some ``START_ROWS`` rows each) go ``FIRST_STEPS`` steps side by side, that with the least
+determinant goes on until no group's determinant falls by more than ``SETTLED`` of itself, and is then reweighted: mean and covariance of all rows within
 the ``REWEIGHT`` quantile of it, which keeps the resistance and wastes no clean rows. Cuts are approximate quantiles
 with a rank error of at most a 2000th. Each
 step is a join of the written statistics with one row of parameters per group and start and a partial
@@ -39,7 +39,7 @@ from . import kernels as K
 from .shared import materialize, text_parts
 
 SUBSET = 0.75
-SETTLED, REWEIGHT = 1e-3, 0.975
+FIRST_STEPS, SETTLED, REWEIGHT = 2, 0.01, 0.975
 STARTS, START_ROWS = 3, 60
 #: Beyond so many steps an error is raised; subsets by exact quantiles settle in any case.
 MOST_STEPS = 60
@@ -196,20 +196,22 @@ def _fitted(x: DataFrame, near: Callable[[DataFrame], DataFrame]) -> DataFrame:
     few = x.join(near(middle.select("fit", "n", medians)), "fit").withColumn("start", F.explode(F.array(*(F.lit(i) for i in range(1, STARTS))))).where(place * F.col("n") < START_ROWS)
     params = params.unionByName(_sums(few).mapInPandas(lambda it: _invert(it, 1.0), _PARAMS))
     scale = consistency(SUBSET, DIM)
-    params, last = materialize(params, "rule-params"), None
-    for _ in range(MOST_STEPS):
+    params = materialize(params, "rule-params")
+    least = F.min(F.struct("log_det", "start", "center", "precision")).alias("best")
+    for step in range(MOST_STEPS):
         far = x.join(near(params), "fit").withColumn("far", _distance())
         cut = far.groupBy("fit", "start").agg(F.percentile_approx("far", SUBSET, 2000).alias("cut"))
         nearest = far.join(near(materialize(cut, "rule-cut")), ["fit", "start"]).where("far <= cut")
         last, params = params, materialize(_sums(nearest).mapInPandas(lambda it: _invert(it, scale), _PARAMS), "rule-params")
-        fallen = last.select("fit", "start", F.col("log_det").alias("was")).join(params, ["fit", "start"]).agg(F.max(F.col("was") - F.col("log_det"))).first()[0]
-        if _ and (fallen is None or fallen <= SETTLED):  # the first step's determinants are of starts, not of subsets
-            break
+        if step + 1 == FIRST_STEPS:
+            params = materialize(params.groupBy("fit").agg(least).select("fit", "best.start", "best.center", "best.precision", "best.log_det"), "rule-params")
+        if step + 1 > FIRST_STEPS:
+            fallen = last.select("fit", "start", F.col("log_det").alias("was")).join(params, ["fit", "start"]).agg(F.max(F.col("was") - F.col("log_det"))).first()[0]
+            if fallen is None or fallen <= SETTLED:
+                break
     else:
         raise RuntimeError("concentration steps did not settle")
-    best = params.groupBy("fit").agg(F.min(F.struct("log_det", "start", "center", "precision")).alias("best"))
-    best = materialize(best.select("fit", F.lit(0).alias("start"), "best.center", "best.precision"), "rule-best")
-    close = x.join(near(best), "fit").where(_distance() <= chi2_quantile(REWEIGHT, DIM))
+    close = x.join(near(params), "fit").where(_distance() <= chi2_quantile(REWEIGHT, DIM))
     final = _sums(close).mapInPandas(lambda it: _invert(it, consistency(REWEIGHT, DIM)), _PARAMS)
     return materialize(final.select("fit", "center", "precision"), "rule-final")
 
