@@ -139,21 +139,21 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     names = ["doc_id", "n", "s", "bits", "part", "counts"]
     for batch in batches:
-        ns, ss, bits = np.zeros(batch.num_rows, np.int64), np.zeros(batch.num_rows, _U), [None] * batch.num_rows
         known = batch.column("doc_id").is_valid().to_pylist()
         for a, b, buf, off in text_parts(batch.column("text")):
-            for i, u in enumerate(shingle_sets(buf, off), a):
+            ns, ss, bits = np.zeros(b - a, np.int64), np.zeros(b - a, _U), [None] * (b - a)
+            for i, u in enumerate(shingle_sets(buf, off)):
                 if len(u):
                     ns[i], ss[i] = len(u), signature(u)
-                    if known[i] and (key := int(ss[i])) not in seen:
+                    if known[a + i] and (key := int(ss[i])) not in seen:
                         if len(seen) < REMEMBERED:
                             seen.add(key)
                         bits[i] = bitmap(u)
                         waiting.append(u)
                         held += len(u)
-            if held > 1_500_000:
+            if held > 500_000:
                 add()
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ns), pa.array(ss.view(np.int64)), pa.array(bits, pa.binary()), pa.nulls(len(ns), pa.int32()), pa.nulls(len(ns), pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(a, b - a), pa.array(ns), pa.array(ss.view(np.int64)), pa.array(bits, pa.binary()), pa.nulls(len(ns), pa.int32()), pa.nulls(len(ns), pa.binary())], names)
     add()
     if tally is not None:
         for part, x in enumerate(np.split(tally, SKETCH_PARTS)):
@@ -392,7 +392,6 @@ def candidates(documents: DataFrame, total_keys: int, frequent: np.ndarray) -> t
 
     def index(hot_ones: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            bits, very = (np.unpackbits(x).view(bool) for x in spread.value)
             waiting, held, seen = [], 0, set()
 
             def flush() -> pa.RecordBatch:
@@ -416,13 +415,14 @@ def candidates(documents: DataFrame, total_keys: int, frequent: np.ndarray) -> t
                         if len(seen) < REMEMBERED:
                             seen.add(int(s))
                         at = (u >> _U(64 - SKETCH_BITS)).astype(np.int64)
-                        keys, limits, heat = prefix_keys(u, bits[at], very[at])
+                        often, very = ((x[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1).view(bool) for x in spread.value)
+                        keys, limits, heat = prefix_keys(u, often, very)
                         keys, limits = keys[heat == hot_ones], limits[heat == hot_ones]
                         x = np.empty(len(keys), _ENTRY)
                         x["k"], x["s"], x["n"], x["lim"] = keys, s, len(u), limits
                         waiting.append(x)
                         held += len(x)
-                    if held > 400_000:
+                    if held > 200_000:
                         yield flush()
                         waiting, held = [], 0
             if waiting:
