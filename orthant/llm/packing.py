@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import materialize
+from .shared import materialize, release
 
 LENGTH = 2048
 #: Sequences in a window.
@@ -79,10 +79,11 @@ def tokenized(documents: DataFrame, ranks_path: str, pattern: str, special: dict
         encoder = _encoder(spread.value, pattern, special)
         for batch in batches:
             texts, n = batch.column("text"), batch.num_rows
-            for a in range(0, n, 512):
-                ids = [np.array([*encoded(encoder, t), closing_id], np.uint32) for t in texts.slice(a, 512).to_pylist()]
-                part = batch.slice(a, 512)
+            for a in range(0, n, 128):
+                ids = [np.array([*encoded(encoder, t), closing_id], np.uint32) for t in texts.slice(a, 128).to_pylist()]
+                part = batch.slice(a, 128)
                 yield pa.RecordBatch.from_arrays([part.column("rid"), part.column("doc_id"), part.column("source"), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype("<u2" if not len(x) or x.max() < 65536 else "<u4").tobytes() for x in ids], pa.binary())], ["rid", "doc_id", "source", "doc_tokens", "packed"])
+            release()
 
     return documents.select(F.monotonically_increasing_id().alias("rid"), "doc_id", "source", F.coalesce("text", F.lit("")).alias("text")).mapInArrow(run, "rid long, doc_id long, source string, doc_tokens long, packed binary")
 
@@ -137,8 +138,8 @@ def pack(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str,
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a in range(0, batch.num_rows, 1024):
-                part = batch.slice(a, 1024)
+            for a in range(0, batch.num_rows, 256):
+                part = batch.slice(a, 256)
                 n, pos = part.column("doc_tokens").to_numpy(), part.column("position").to_numpy()
                 count = (pos + n - 1) // length - pos // length + 1
                 doc = np.repeat(np.arange(len(n)), count)
@@ -152,6 +153,7 @@ def pack(documents: DataFrame, ranks_path: str, pattern: str, special: dict[str,
                 pieces = [ids[d][s : s + m].astype("<u4").tobytes() for d, s, m in zip(doc, start, end - begin, strict=True)]
                 take = pa.array(doc)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").take(take), pa.array(start), pa.array(end - begin), part.column("doc_tokens").take(take), pa.array(sequence), pa.array(begin - sequence * length), part.column("window").take(take), pa.array(pieces, pa.binary())], ["doc_id", "start", "length", "doc_tokens", "sequence_id", "offset", "window", "ids"])
+            release()
 
     return joined.select("doc_id", "doc_tokens", "position", "window", "packed").mapInArrow(cut, "doc_id long, start long, length long, doc_tokens long, sequence_id long, offset long, window long, ids binary")
 

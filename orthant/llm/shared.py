@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -14,6 +15,8 @@ from pyspark.sql import functions as F
 
 #: Text bytes that one numpy pass handles at a time; a longer single text is handled alone.
 SLICE_BYTES = 1 << 20
+#: Rows of an Arrow batch while a working table is written; whole texts make default batches large.
+BATCH_ROWS, BATCH_SETTING = 2000, "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -38,12 +41,30 @@ def _path(spark: SparkSession, path: str):
     return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
 
 
+@contextlib.contextmanager
+def _small_batches(spark: SparkSession) -> Iterator[None]:
+    before = int(spark.conf.get(BATCH_SETTING))
+    spark.conf.set(BATCH_SETTING, str(min(before, BATCH_ROWS) if before > 0 else BATCH_ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(BATCH_SETTING, str(before))
+
+
+def release() -> None:
+    """Gives memory that a reused Python worker no longer needs back to the system."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Writes ``df`` as Parquet into the shared folder and reads it again, which cuts the lineage
     and survives lost executors. The folder goes when it is discarded or when the session ends."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    with _small_batches(spark):
+        df.write.parquet(path)
     target, fs = _path(spark, path)
     fs.deleteOnExit(target)
     if _open_scope:
@@ -118,3 +139,4 @@ def text_parts(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndar
     raw, off = text_buffers(column)
     for a, b in slices(off):
         yield a, b, raw[off[a] : off[b]], off[a : b + 1] - off[a]
+    release()
