@@ -73,19 +73,24 @@ def zero_share(f: DataFrame, k: int, tolerance: float = 0.0) -> DataFrame:
     return v.agg(F.avg(F.when(F.abs("value") <= tolerance, 1.0).otherwise(0.0)).alias("zero_share"), F.sum(F.col("value") * F.col("value")).alias("smoothness"))
 
 
+#: Rows that every row's distance is taken to.
+ANCHORS = 8
+
+
 def squared_distance(k: int, a: str = "a", b: str = "b") -> Column:
     return total((F.col(f"{a}f{j}") - F.col(f"{b}f{j}")) * (F.col(f"{a}f{j}") - F.col(f"{b}f{j}")) for j in range(k))
 
 
-def distance_distortion(x: DataFrame, sketch: DataFrame, s: int, rows: int) -> DataFrame:
-    """Squared distances of the pairs of the first ``rows`` rows, before and after projection (a stated sample:
-    pairs grow with its square)."""
-    first = x.where(F.col("row_key") < rows)
-    norms = first.groupBy("row_key").agg(F.sum(F.col("value") * F.col("value")).alias("xx"))
-    a, b = first.select(F.col("row_key").alias("r0"), "col_key", F.col("value").alias("v0")), first.select(F.col("row_key").alias("r1"), "col_key", F.col("value").alias("v1"))
-    dots = a.join(b, "col_key").where("r0 < r1").groupBy("r0", "r1").agg(F.sum(F.col("v0") * F.col("v1")).alias("dot"))
-    n0, n1 = norms.select(F.col("row_key").alias("r0"), F.col("xx").alias("x0")), norms.select(F.col("row_key").alias("r1"), F.col("xx").alias("x1"))
-    pairs = n0.join(n1, F.col("r0") < F.col("r1")).join(dots, ["r0", "r1"], "left").withColumn("before", F.col("x0") + F.col("x1") - 2 * F.coalesce("dot", F.lit(0.0)))
+def distance_distortion(x: DataFrame, sketch: DataFrame, s: int, anchors: int = ANCHORS) -> DataFrame:
+    """Ratios of the distances of every row to the ``anchors`` rows with the least keys, after and before projection. The
+    anchors' cells are broadcast, so that rows meet them where they are."""
+    keys = F.broadcast(x.select(F.col("row_key").alias("r0")).distinct().orderBy("r0").limit(anchors))
+    norms = x.groupBy("row_key").agg(F.sum(F.col("value") * F.col("value")).alias("xx"))
+    few = x.join(keys, F.col("row_key") == F.col("r0")).select("r0", "col_key", F.col("value").alias("v0"))
+    dots = x.select(F.col("row_key").alias("r1"), "col_key", F.col("value").alias("v1")).join(F.broadcast(few), "col_key").where("r0 <> r1").groupBy("r0", "r1").agg(F.sum(F.col("v0") * F.col("v1")).alias("dot"))
+    n0 = norms.join(keys, F.col("row_key") == F.col("r0")).select("r0", F.col("xx").alias("x0"))
+    n1 = norms.select(F.col("row_key").alias("r1"), F.col("xx").alias("x1"))
+    pairs = n1.join(F.broadcast(n0), F.col("r0") != F.col("r1")).join(dots, ["r0", "r1"], "left").withColumn("before", F.col("x0") + F.col("x1") - 2 * F.coalesce("dot", F.lit(0.0)))
     l, r = (sketch.select(F.col("key").alias(f"r{i}"), *(F.col(c).alias(f"{p}{c}") for c in cols(s))) for i, p in ((0, "a"), (1, "b")))
     return pairs.join(l, "r0").join(r, "r1").where("before > 0").select("r0", "r1", F.sqrt(squared_distance(s) / F.col("before")).alias("ratio"))
 
@@ -103,7 +108,13 @@ def sharpened(sigma: np.ndarray, w: int) -> np.ndarray:
     return np.asarray(sigma, float) ** (2 * w + 1)
 
 
+#: Published pairs of a decay a component and the power with the least error.
+ADVICE = ((0.0053, 3), (0.0012, 11))
+
+
 def advised_power(p: float) -> int:
-    """More power rounds for flatter spectra: 3 at a decay of 0.0053 a component, 11 at 0.0012, and between or
-    beyond by the reciprocal; at most 15."""
-    return int(np.clip(round(3 * 0.0053 / max(p, 1e-6) * 0.83), 1, 15))
+    """More power rounds for flatter spectra, linear in the reciprocal of the decay: 3 at a decay of 0.0053 a component
+    and 11 at 0.0012; 1 to 15."""
+    (p0, w0), (p1, w1) = ADVICE
+    slope = (w1 - w0) / (1 / p1 - 1 / p0)
+    return int(np.clip(round(w0 + slope * (1 / max(p, 1e-6) - 1 / p0)), 1, 15))

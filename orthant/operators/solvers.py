@@ -33,14 +33,46 @@ def shared_folder(spark) -> str:
     return path.rstrip("/")
 
 
+def _place(spark, path: str):
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return target, target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def held(frame: DataFrame) -> DataFrame:
     """Writes a state table into the shared folder and reads it back."""
     path = f"{shared_folder(frame.sparkSession)}/state-{uuid.uuid4().hex}"
     frame.write.parquet(path)
-    context = frame.sparkSession.sparkContext
-    target = context._jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(context._jsc.hadoopConfiguration()).deleteOnExit(target)
-    return frame.sparkSession.read.schema(frame.schema).parquet(path)
+    target, files = _place(frame.sparkSession, path)
+    files.deleteOnExit(target)
+    out = frame.sparkSession.read.schema(frame.schema).parquet(path)
+    out._state_path = path
+    return out
+
+
+class States:
+    """Written states of one solve: only the last two are kept, as the last one is made from the one before."""
+
+    def __init__(self) -> None:
+        self.paths: list[str] = []
+
+    def held(self, frame: DataFrame) -> DataFrame:
+        out = held(frame)
+        self.paths.append(out._state_path)
+        while len(self.paths) > 2:
+            target, files = _place(frame.sparkSession, self.paths.pop(0))
+            files.delete(target, True)
+        return out
+
+
+def _divided(rows: DataFrame, size: np.ndarray) -> DataFrame:
+    """The state with f's components divided by ``size``."""
+    return rows.withColumn("f", F.zip_with("f", F.array(*(F.lit(float(v)) for v in size)), lambda x, y: x / y))
+
+
+def _component_size(squares: float, k: int, j: int) -> np.ndarray:
+    out = np.ones(k)
+    out[j] = np.sqrt(squares) if squares > 0 else 1.0
+    return out
 
 
 def _matrix(column: pa.Array, width: int) -> np.ndarray:
@@ -51,7 +83,7 @@ def _lists(x: np.ndarray) -> pa.Array:
     return pa.array(x.tolist(), pa.list_(pa.float64()))
 
 
-def row_pass(rows: DataFrame, s: int, k: int, update: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int) -> tuple[DataFrame, np.ndarray, np.ndarray]:
+def row_pass(rows: DataFrame, s: int, k: int, update: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int, states: States) -> tuple[DataFrame, np.ndarray, np.ndarray]:
     """Applies ``update(x, f) -> f`` to the state (key, x, q, f): (new state, L' F, sums of squares of F). State and
     sums come from one pass: partial sums ride as tagged rows of the same output."""
 
@@ -66,11 +98,15 @@ def row_pass(rows: DataFrame, s: int, k: int, update: Callable[[np.ndarray, np.n
         none = pa.nulls(1, pa.list_(pa.float64()))
         yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), none, none, none, pa.array([np.concatenate([near.ravel(), squares]).tobytes()], pa.binary())], names)
 
-    out = held(rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>, part binary"))
+    out = states.held(rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>, part binary"))
     sums = sum_arrays(out.where("part is not null").select("part"), (s * k + k,))
     return out.where("part is null").drop("part"), sums[: s * k].reshape(s, k), sums[s * k :]
 
 
+#: Numbers of a block of columns that the driver and each task of the uncompressed forms hold.
+MOST_BLOCK = 50_000_000
+
+
 def with_start(rows: DataFrame, k: int, seed: int, scale: float) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -80,7 +116,7 @@ def with_start(rows: DataFrame, k: int, seed: int, scale: float) -> DataFrame:
     return rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>")
 
 
-def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
+def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0, stop: str = "gain") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
     """(A as rows (key, f), B (n x k), trace of half squared projected error of the column side). ``method``: any
     compressed kernel, or "chals" (component-major, 2 k passes an iteration)."""
     scale = 2 * np.sqrt(max(p.mean, 1e-12) / k)
@@ -88,16 +124,14 @@ def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: in
     rows = with_start(p.rows, k, seed, scale)
     b = np_uniform(keys[:, None], np.arange(k)[None, :], seed + 1) * scale
     trace: list[tuple[int, float]] = []
-    spark = p.rows.sparkSession
+    spark, states, rule = p.rows.sparkSession, States(), Stop(tolerance, stop)
 
-    def one_pass(update, norm: bool) -> np.ndarray:
+    def one_pass(update, component: int | None = None) -> np.ndarray:
         nonlocal rows, b
-        rows, near, squares = row_pass(rows, p.s, k, update, width)
-        if norm and normalize != "none":
-            size = np.where(squares > 0, np.sqrt(squares), 1.0)
-            spread = spark.sparkContext.broadcast(size)
-            rows = rows.withColumn("f", F.zip_with("f", F.array(*(F.lit(float(v)) for v in spread.value)), lambda x, y: x / y))
-            b, near = b * size, near / size
+        rows, near, squares = row_pass(rows, p.s, k, update, width, states)
+        if normalize != "none":
+            size = np.where(squares > 0, np.sqrt(squares), 1.0) if component is None else _component_size(squares[component], k, component)
+            rows, b, near = _divided(rows, size), b * size, near / size
         return near
 
     for i in range(1, iterations + 1):
@@ -110,23 +144,25 @@ def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: in
                     f[:, j] = residual_component(x, f, nb.value, j)
                     return f
 
-                near = one_pass(update, False)
+                near = one_pass(update, j)
                 b[:, j] = residual_component(p.left.T, b, near, j, penalty)
         else:
             kernel, near_b = KERNELS[method], p.r @ b
             spread = spark.sparkContext.broadcast((near_b, near_b.T @ near_b))
-            near = one_pass(lambda x, f, t=spread, kernel=kernel: kernel(x @ t.value[0], t.value[1], f), True)
+            near = one_pass(lambda x, f, t=spread, kernel=kernel: kernel(x @ t.value[0], t.value[1], f))
             b = kernel(p.left.T @ near, near.T @ near, b, penalty)
         trace.append((i, 0.5 * float(((p.left - near @ b.T) ** 2).sum())))
-        if converged(trace, tolerance):
+        if rule.met(trace, b, near.T @ near, p.left.T @ near):
             break
     return rows.select("key", "f"), b, trace
 
 
-def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, method: str = "gram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
-    """The uncompressed forms on packed rows. B (n x k) is on the driver; every pass scans X and sends n x k doubles
-    per partition. "hals" works through components: 2 k passes an iteration."""
+def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, method: str = "gram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0, stop: str = "gain") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
+    """The uncompressed forms on packed rows. B (n x k) is on the driver, and its size is checked; every pass scans X and
+    sends n x k doubles per partition. "hals" works through components: 2 k passes an iteration."""
     n = len(keys)
+    if n * k > MOST_BLOCK:
+        raise ValueError("the column factor is too large for one machine; use a compressed method")
     d, mass = partial(packed, lambda t: np.array([t.num_rows, np.sum(t.column("val").flatten().to_numpy(zero_copy_only=False))]), (2,), n)
     scale = 2 * np.sqrt(max(mass / max(d * n, 1), 1e-12) / k)
     spark = packed.sparkSession
@@ -140,6 +176,7 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
     rows = packed.mapInArrow(begin, schema)
     b = np_uniform(keys[:, None], np.arange(k)[None, :], seed + 1) * scale
     trace: list[tuple[int, float]] = []
+    states, rule = States(), Stop(tolerance, stop)
 
     def one_pass(update) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         nonlocal rows
@@ -154,7 +191,7 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
                 yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names[:3]), _lists(f), pa.nulls(batch.num_rows, pa.binary())], names)
             yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.list_(pa.int32())), pa.nulls(1, pa.list_(pa.float64())), pa.nulls(1, pa.list_(pa.float64())), pa.array([sums.tobytes()], pa.binary())], names)
 
-        out = held(rows.mapInArrow(run, schema + ", part binary"))
+        out = states.held(rows.mapInArrow(run, schema + ", part binary"))
         sums = sum_arrays(out.where("part is not null").select("part"), (n * k + k * k + 1,))
         rows = out.where("part is null").drop("part")
         return sums[: n * k].reshape(n, k), sums[n * k : -1].reshape(k, k), sums[-1]
@@ -170,6 +207,9 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
                     return f
 
                 h, g, norm2 = one_pass(update)
+                if normalize != "none":
+                    size = _component_size(g[j, j], k, j)
+                    rows, b, h, g = _divided(rows, size), b * size, h / size, g / np.outer(size, size)
                 if g[j, j] > 0:
                     b[:, j] = np.maximum(h[:, j] - b @ g[:, j] + b[:, j] * g[j, j] - penalty.alpha, 0) / (g[j, j] + penalty.beta)
         else:
@@ -178,24 +218,56 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
             h, g, norm2 = one_pass(lambda x, f, t=spread, kernel=kernel: kernel(x @ t.value[0], t.value[1], f))
             if normalize != "none":
                 size = np.sqrt(np.where(np.diag(g) > 0, np.diag(g), 1.0))
-                rows = rows.withColumn("f", F.zip_with("f", F.array(*(F.lit(float(v)) for v in size)), lambda x, y: x / y))
-                b, h, g = b * size, h / size, g / np.outer(size, size)
+                rows, b, h, g = _divided(rows, size), b * size, h / size, g / np.outer(size, size)
             b = kernel(h, g, b, penalty)
         trace.append((i, 0.5 * float(norm2 - 2 * (h * b).sum() + (g * (b.T @ b)).sum())))
-        if converged(trace, tolerance):
+        if rule.met(trace, b, g, h):
             break
     return rows.select(F.col("row_key").alias("key"), "f"), b, trace
 
 
 def converged(trace: list[tuple[int, float]], tolerance: float) -> bool:
-    """The stop rule: the last step's relative gain is below ``tolerance``; 0 never stops."""
+    """The last step's relative gain is at most ``tolerance``; 0 never stops."""
     return tolerance > 0 and len(trace) > 1 and abs(trace[-2][1] - trace[-1][1]) <= tolerance * max(abs(trace[-2][1]), 1e-300)
 
 
-def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, placement: str | None = None, normalize: str = "sweep", tolerance: float = 0.0) -> tuple[DataFrame, DataFrame, list[tuple[int, float]]]:
+def projected_gradient(b: np.ndarray, g: np.ndarray, h: np.ndarray) -> float:
+    """Norm of the gradient of half the squared error in B, without the parts that point out of the feasible set.
+    ``g``: Gram matrix of the other side; ``h``: data times that side."""
+    slope = b @ g - h
+    return float(np.linalg.norm(np.where((b > 0) | (slope < 0), slope, 0.0)))
+
+
+class Stop:
+    """Stop rules: "gain", the last step's relative gain is at most ``tolerance``; "gradient", the projected gradient's
+    norm is at most ``tolerance`` times that after the first iteration; "stagnation", the best objective of the last
+    ``PATIENCE`` iterations is not below the best one before by more than ``tolerance`` of it. 0 never stops."""
+
+    RULES = ("gain", "gradient", "stagnation")
+    PATIENCE = 5
+
+    def __init__(self, tolerance: float, rule: str = "gain") -> None:
+        if rule not in self.RULES:
+            raise ValueError(f"no such stop rule: {rule}")
+        self.tolerance, self.rule, self.first = tolerance, rule, 0.0
+
+    def met(self, trace: list[tuple[int, float]], b: np.ndarray, g: np.ndarray, h: np.ndarray) -> bool:
+        if self.tolerance <= 0:
+            return False
+        if self.rule == "gain":
+            return converged(trace, self.tolerance)
+        if self.rule == "gradient":
+            now = projected_gradient(b, g, h)
+            self.first = self.first or now
+            return len(trace) > 1 and now <= self.tolerance * self.first
+        values = [v for _, v in trace]
+        return len(values) > self.PATIENCE and min(values[-self.PATIENCE :]) > (1 - self.tolerance) * min(values[: -self.PATIENCE])
+
+
+def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, placement: str | None = None, normalize: str = "sweep", tolerance: float = 0.0, stop: str = "gain") -> tuple[DataFrame, DataFrame, list[tuple[int, float]]]:
     """(A: key, f; B: key, f; trace). ``placement``: "driver" brings the compressed state to one machine, whose size
     is checked, and iterates there; "distributed" never does; None lets the planner choose. ``normalize="component"``
-    (unit length inside the sweep, k sums an iteration) is for the driver's placement. ``tolerance``: see ``converged``."""
+    (unit length inside the sweep, k sums an iteration) is for the driver's placement. ``tolerance``, ``stop``: see ``Stop``."""
     packed, keys = packed_index(coo)
     packed = held(packed)
     spark = coo.sparkSession
@@ -210,17 +282,18 @@ def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: s
             rk = np.array([g[0] for g in got], np.int64)
             scale = 2 * np.sqrt(max(p.mean, 1e-12) / k)
             a, b = np_uniform(rk[:, None], np.arange(k)[None, :], seed) * scale, np_uniform(keys[:, None], np.arange(k)[None, :], seed + 1) * scale
-            trace = []
+            trace, rule = [], Stop(tolerance, stop)
             for i in range(1, iterations + 1):
                 a, b = dense.iterate(problem, method, a, b, penalty, normalize)
-                trace.append((i, 0.5 * float(((p.left - problem.near_a(a) @ b.T) ** 2).sum())))
-                if converged(trace, tolerance):
+                near = problem.near_a(a)
+                trace.append((i, 0.5 * float(((p.left - near @ b.T) ** 2).sum())))
+                if rule.met(trace, b, near.T @ near, p.left.T @ near):
                     break
             rows = spark.createDataFrame([(int(x), y) for x, y in zip(rk, a.tolist(), strict=True)], "key bigint, f array<double>")
         else:
-            rows, b, trace = solve_projected(p, keys, k, iterations, method, penalty, seed, normalize, tolerance)
+            rows, b, trace = solve_projected(p, keys, k, iterations, method, penalty, seed, normalize, tolerance, stop)
     else:
-        rows, b, trace = solve_raw(packed, keys, k, iterations, method, penalty, seed, normalize, tolerance)
+        rows, b, trace = solve_raw(packed, keys, k, iterations, method, penalty, seed, normalize, tolerance, stop)
     return rows, spark.createDataFrame([(int(x), y) for x, y in zip(keys, b.tolist(), strict=True)], "key bigint, f array<double>"), trace
 
 

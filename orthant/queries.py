@@ -370,15 +370,14 @@ def zero_share(spark: SparkSession, sf: str) -> DataFrame:
     return measures.zero_share(b, K, 1e-9).select(F.round("zero_share", 6).alias("zero_share"), F.round("smoothness", 4).alias("smoothness"))
 
 
-_SKETCH = O.query(_SPLIT, O.gaussian("om", "col", 12, SEED), O.times("y", "om", 12), select="SELECT a.key AS r0, b.key AS r1, round(sqrt((" + " + ".join(f"(a.f{j} - b.f{j}) * (a.f{j} - b.f{j})" for j in range(12)) + ") / 12.0::DOUBLE / (SELECT sum((coalesce(p.value, 0) - coalesce(q.value, 0)) * (coalesce(p.value, 0) - coalesce(q.value, 0))) FROM (SELECT col_key, value FROM x WHERE row_key = a.key) p FULL JOIN (SELECT col_key, value FROM x WHERE row_key = b.key) q ON p.col_key = q.col_key)), 5) AS ratio FROM y a JOIN y b ON a.key < b.key WHERE a.key < 20 AND b.key < 20")
-_SKETCH = O.query(_SPLIT, O.gaussian("om", "col", 12, SEED), O.times("y", "om", 12), "few AS (SELECT * FROM x WHERE row_key < 20)", "norms AS (SELECT row_key, sum(value * value) AS xx FROM few GROUP BY 1)", "dots AS (SELECT p.row_key AS r0, q.row_key AS r1, sum(p.value * q.value) AS d FROM few p JOIN few q ON p.col_key = q.col_key AND p.row_key < q.row_key GROUP BY 1, 2)", select="SELECT a.key AS r0, b.key AS r1, round(sqrt((" + " + ".join(f"(a.f{j} - b.f{j}) * (a.f{j} - b.f{j})" for j in range(12)) + ") / 12.0::DOUBLE / (n0.xx + n1.xx - 2 * coalesce(d, 0))), 5) AS ratio FROM y a JOIN y b ON a.key < b.key JOIN norms n0 ON n0.row_key = a.key JOIN norms n1 ON n1.row_key = b.key LEFT JOIN dots ON r0 = a.key AND r1 = b.key WHERE n0.xx + n1.xx - 2 * coalesce(d, 0) > 0")
+_SKETCH = O.query(_SPLIT, O.gaussian("om", "col", 12, SEED), O.times("y", "om", 12), f"few AS (SELECT * FROM x WHERE row_key IN (SELECT DISTINCT row_key FROM x ORDER BY 1 LIMIT {measures.ANCHORS}))", "norms AS (SELECT row_key, sum(value * value) AS xx FROM x GROUP BY 1)", "dots AS (SELECT p.row_key AS r0, q.row_key AS r1, sum(p.value * q.value) AS d FROM few p JOIN x q ON p.col_key = q.col_key AND p.row_key <> q.row_key GROUP BY 1, 2)", select="SELECT a.key AS r0, b.key AS r1, round(sqrt((" + " + ".join(f"(a.f{j} - b.f{j}) * (a.f{j} - b.f{j})" for j in range(12)) + ") / 12.0::DOUBLE / (n0.xx + n1.xx - 2 * coalesce(d, 0))), 5) AS ratio FROM y a JOIN y b ON a.key <> b.key AND a.key IN (SELECT row_key FROM few) JOIN norms n0 ON n0.row_key = a.key JOIN norms n1 ON n1.row_key = b.key LEFT JOIN dots ON r0 = a.key AND r1 = b.key WHERE n0.xx + n1.xx - 2 * coalesce(d, 0) > 0")
 
 
 @query(_SKETCH)
 def distance_distortion(spark: SparkSession, sf: str) -> DataFrame:
     x = M.x_split(spark, sf)
     sketch = W.gaussian_sketch(x, W.keys_of(x, "col"), 12, SEED)
-    return measures.distance_distortion(x, sketch, 12, 20).select("r0", "r1", F.round("ratio", 5).alias("ratio"))
+    return measures.distance_distortion(x, sketch, 12).select("r0", "r1", F.round("ratio", 5).alias("ratio"))
 
 
 # cost models
@@ -432,17 +431,21 @@ query(name="chals_evt")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_ev
 query(name="anls_solve")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_evt(spark, sf), 4, 8, 4, 3, "anls")[2]))
 query(name="canls_solve")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_evt(spark, sf), 4, 8, 4, 3, "canls")[2]))
 query(name="cgram_hals_cust_penalised")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_cust(spark, sf), 8, 12, 3, 5, penalty=Penalty(0.1, 0.1))[2]))
-query(name="method_comparison_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 60))
+query(name="method_comparison_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 500))
 query(name="method_comparison_ship")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_ship", 20, 25, 4, 60))
-query(name="method_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 20, methods=("mu", "cmu", "gram_hals", "cgram_hals")))
-query(name="residual_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 20, 24, 9, 3, 1, ("hals", "chals")))
+query(name="method_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 150, methods=("mu", "cmu", "gram_hals", "cgram_hals")))
+query(name="residual_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 10, 3, ("hals", "chals")))
+query(name="deviation_img")(lambda spark, sf: workloads.deviation_from_best(workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 60)))
+query(name="deviation_doc")(lambda spark, sf: workloads.deviation_from_best(workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 40, methods=("mu", "cmu", "gram_hals", "cgram_hals"))))
+query(name="start_stability_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 40, 5, ("gram_hals", "cgram_hals")).where("metric = 'relative_error'").select("method", "iter", "value", "starts", "spread"))
 query(name="named_alternatives_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 10, 13, 4, 15, 2, ("als", "pgd", "anls", "cals", "cpgd", "canls")))
 query(name="kw_sweep_img")(lambda spark, sf: workloads.kw_sweep(spark, sf, "x_img", (5, 10, 20), (0, 1, 2, 3, 4, 6, 9), 1.25, 40))
-query(name="kw_sweep_doc")(lambda spark, sf: workloads.kw_sweep(spark, sf, "x_doc", (10, 20, 40), (0, 1, 3, 5, 7, 9, 11, 13), 1.2, 20, 2))
+query(name="kw_sweep_doc")(lambda spark, sf: workloads.kw_sweep(spark, sf, "x_doc", (10, 20, 40, 60), (0, 1, 3, 5, 7, 9, 11, 13), 1.2, 40, 3))
 for _which in ("alpha", "beta"):
     query(name=f"gini_{_which}_img")(lambda spark, sf, v=_which: workloads.penalty_grid(spark, sf, "x_img", v, 20, 25, 3, 40, True))
-    query(name=f"gini_{_which}_doc")(lambda spark, sf, v=_which: workloads.penalty_grid(spark, sf, "x_doc", v, 20, 24, 9, 20, False, 2))
+    query(name=f"gini_{_which}_doc")(lambda spark, sf, v=_which: workloads.penalty_grid(spark, sf, "x_doc", v, 60, 72, 9, 40, False, 3))
 query(name="cost_table_img")(lambda spark, sf: workloads.cost_table(spark, sf, "x_img", 20, 25, 4))
+query(name="cost_table_doc")(lambda spark, sf: workloads.cost_table(spark, sf, "x_doc", 60, 72, 9, 3))
 query(name="cost_table_ship")(lambda spark, sf: workloads.cost_table(spark, sf, "x_ship", 20, 25, 4))
 query(name="convergence_img")(lambda spark, sf: workloads.convergence(workloads.run_grid(spark, workloads.data_of(spark, sf, "x_img"), [{"method": m, "k": 20, "s": 25, "w": 4, "seed": i} for m in ("mu", "gram_hals", "cgram_hals") for i in range(5)], 40, 1)))
 
@@ -456,18 +459,22 @@ def gini_approximate(spark: SparkSession, sf: str) -> DataFrame:
 
 @query()
 def distance_distortion_projected(spark: SparkSession, sf: str) -> DataFrame:
-    """Quantiles of the ratio of distances after and before the structured projection, first rows of the vectors."""
+    """Quantiles of the ratio of distances after and before the structured projection, of every row to the anchors."""
     packed, keys = projection.packed_index(M.x_split(spark, sf))
     p = projection.compress(packed, keys, 24, 2, SEED)
     sketch = p.rows.select("key", *(F.col("x")[j].alias(f"f{j}") for j in range(len(p.r))))
-    ratios = measures.distance_distortion(M.x_split(spark, sf), sketch, len(p.r), 60)
+    ratios = measures.distance_distortion(M.x_split(spark, sf), sketch, len(p.r))
     return ratios.agg(*(F.expr(f"percentile(ratio, {q})").alias(f"q{int(100 * q)}") for q in (0.0, 0.05, 0.5, 0.95, 1.0)))
 
 
 @query()
 def early_stop(spark: SparkSession, sf: str) -> DataFrame:
-    """The curve of a solve that stops on its own."""
-    return _trace(spark, solvers.factorize(M.x_img(spark, sf), 10, 13, 4, 200, tolerance=1e-3)[2])
+    """The curves of solves that stop on their own, by stop rule."""
+    out = None
+    for rule, tolerance in (("gain", 1e-3), ("gradient", 0.05), ("stagnation", 1e-2)):
+        one = _trace(spark, solvers.factorize(M.x_img(spark, sf), 10, 13, 4, 200, tolerance=tolerance, stop=rule)[2]).withColumn("rule", F.lit(rule))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query()
@@ -479,7 +486,7 @@ def component_normalised(spark: SparkSession, sf: str) -> DataFrame:
 def spectrum_decay(spark: SparkSession, sf: str) -> DataFrame:
     """Decay of the first singular values and the advised power, by matrix."""
     rows = []
-    for name in ("x_img", "x_split", "x_cust", "x_part", "x_evt", "x_ship"):
+    for name in ("x_img", "x_doc", "x_split", "x_cust", "x_part", "x_evt", "x_ship"):
         packed, keys = projection.packed_index(M.MATRICES[name](spark, sf))
         p = measures.spectrum_decay(projection.singular_values(packed, len(keys), 60))
         rows.append((name, p["exponential"], p["power"], measures.advised_power(p["exponential"])))

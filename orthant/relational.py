@@ -6,6 +6,7 @@ import uuid
 from collections.abc import Callable
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -69,15 +70,45 @@ def topics_by_label(spark: SparkSession, sf: str) -> DataFrame:
     return h.join(load(spark, sf, "labels"), F.col("key") == F.col("doc_id"), "left").groupBy("quality", "toxic", _best().alias("component")).agg(F.count("*").alias("n"))
 
 
-@query(O.query(O.matrix("x_part"), O.start("a0", "row", K, SEED), O.start("b0", "col", K, SEED + 1), select="SELECT row_key, col_key, rank, round(score, 6) AS score FROM (SELECT a.key AS row_key, b.key AS col_key, a.f0 * b.f0 + a.f1 * b.f1 + a.f2 * b.f2 AS score, row_number() OVER (PARTITION BY a.key ORDER BY a.f0 * b.f0 + a.f1 * b.f1 + a.f2 * b.f2 DESC, b.key) AS rank FROM a0 a CROSS JOIN b0 b WHERE a.key < 100) t WHERE rank <= 5"))
+#: Numbers of a column factor that may be broadcast for scoring.
+MOST_SCORED = 20_000_000
+
+
+def best_columns(a: DataFrame, b: DataFrame, k: int, top: int) -> DataFrame:
+    """row_key, col_key, rank, score: each row's ``top`` columns, the least key first among equals. Blocks of rows meet the
+    broadcast column factor, whose counted size is checked, so that no product of rows and columns is ever a table."""
+    if b.count() * (k + 1) > MOST_SCORED:
+        raise ValueError("the column factor is too large to be broadcast")
+    got = sorted((r["key"], *(r[c] for c in W.cols(k))) for r in b.collect())
+    spread = a.sparkSession.sparkContext.broadcast((np.array([g[0] for g in got], np.int64), np.array([g[1:] for g in got], float).reshape(-1, k)))
+
+    def run(batches):
+        keys, f = spread.value
+        most = min(top, len(keys))
+        for batch in batches:
+            for at in range(0, batch.num_rows, step := max(1, 2_000_000 // max(1, len(keys)))):
+                part = batch.slice(at, step)
+                left = np.stack([part.column(c).to_numpy() for c in W.cols(k)], 1)
+                score = np.zeros((len(left), len(keys)))
+                for j in range(k):
+                    score += left[:, j, None] * f[None, :, j]
+                bar = np.partition(score, len(keys) - most, axis=1)[:, len(keys) - most] if most else np.zeros(len(left))
+                row, col = np.nonzero(score >= bar[:, None]) if most else (np.zeros(0, int), np.zeros(0, int))
+                order = np.lexsort((col, -score[row, col], row))
+                row, col = row[order], col[order]
+                rank = np.arange(len(row)) - np.searchsorted(row, row) + 1
+                row, col, rank = row[rank <= most], col[rank <= most], rank[rank <= most]
+                yield pa.RecordBatch.from_arrays([part.column("key").take(pa.array(row)), pa.array(keys[col]), pa.array(rank, pa.int32()), pa.array(score[row, col])], ["row_key", "col_key", "rank", "score"])
+
+    return a.select("key", *W.cols(k)).mapInArrow(run, "row_key bigint, col_key bigint, rank int, score double")
+
+
+@query(O.query(O.matrix("x_part"), O.start("a0", "row", K, SEED), O.start("b0", "col", K, SEED + 1), select="SELECT row_key, col_key, rank, round(score, 6) AS score FROM (SELECT a.key AS row_key, b.key AS col_key, a.f0 * b.f0 + a.f1 * b.f1 + a.f2 * b.f2 AS score, row_number() OVER (PARTITION BY a.key ORDER BY a.f0 * b.f0 + a.f1 * b.f1 + a.f2 * b.f2 DESC, b.key) AS rank FROM a0 a CROSS JOIN b0 b) t WHERE rank <= 5"))
 def recommend_items(spark: SparkSession, sf: str) -> DataFrame:
-    """The five columns with the highest model value, for rows with keys under 100: rows as arrays in, columns broadcast."""
+    """The five columns with the highest model value for every row."""
     x = M.x_part(spark, sf)
-    a = W.uniform_factor(W.keys_of(x, "row"), K, SEED).where("key < 100").select(F.col("key").alias("row_key"), *(F.col(c).alias(f"a{c}") for c in W.cols(K)))
-    b = W.uniform_factor(W.keys_of(x, "col"), K, SEED + 1).withColumnRenamed("key", "col_key")
-    score = W.total(F.col(f"a{c}") * F.col(c) for c in W.cols(K))
-    rank = F.row_number().over(Window.partitionBy("row_key").orderBy(F.desc("score"), "col_key"))
-    return a.crossJoin(F.broadcast(b)).withColumn("score", score).withColumn("rank", rank).where("rank <= 5").select("row_key", "col_key", "rank", F.round("score", 6).alias("score"))
+    a, b = W.uniform_factor(W.keys_of(x, "row"), K, SEED), W.uniform_factor(W.keys_of(x, "col"), K, SEED + 1)
+    return best_columns(a, b, K, 5).select("row_key", "col_key", "rank", F.round("score", 6).alias("score"))
 
 
 _REGION = "JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
@@ -144,14 +175,14 @@ def op_join_left_anti(spark: SparkSession, sf: str) -> DataFrame:
     return load(spark, sf, "documents").join(load(spark, sf, "labels"), "doc_id", "left_anti").select("doc_id")
 
 
-_HALVES = (O.matrix("x_evt"), O.start("p0", "col", K, 1), O.start("q0", "col", K, 2))
+_HALVES = (O.matrix("x_evt"), O.start("p0", "col", K, 1), O.start("q0", "row", K, 2))
 
 
-@query(O.query(*_HALVES, select="SELECT coalesce(p.key, q.key) AS key, round(coalesce(p.f0, 0) - coalesce(q.f0, 0), 6) AS gap FROM (SELECT * FROM p0 WHERE key < 80) p FULL JOIN (SELECT * FROM q0 WHERE key >= 40) q ON p.key = q.key"))
+@query(O.query(*_HALVES, select="SELECT coalesce(p.key, q.key) AS key, round(coalesce(p.f0, 0) - coalesce(q.f0, 0), 6) AS gap FROM p0 p FULL JOIN q0 q ON p.key = q.key"))
 def op_join_full_outer(spark: SparkSession, sf: str) -> DataFrame:
-    """Two versions of a factor side by side."""
-    keys = W.keys_of(M.x_evt(spark, sf), "col")
-    p, q = W.uniform_factor(keys, K, 1).where("key < 80").select("key", F.col("f0").alias("p")), W.uniform_factor(keys, K, 2).where("key >= 40").select("key", F.col("f0").alias("q"))
+    """The factors of columns and of rows side by side."""
+    x = M.x_evt(spark, sf)
+    p, q = W.uniform_factor(W.keys_of(x, "col"), K, 1).select("key", F.col("f0").alias("p")), W.uniform_factor(W.keys_of(x, "row"), K, 2).select("key", F.col("f0").alias("q"))
     return p.join(q, "key", "full").select("key", F.round(F.coalesce("p", F.lit(0.0)) - F.coalesce("q", F.lit(0.0)), 6).alias("gap"))
 
 
@@ -249,12 +280,12 @@ def op_array_map_json(spark: SparkSession, sf: str) -> DataFrame:
     return coo_from_json(load(spark, sf, "events"), "user_id", "props", "k", 32)
 
 
-@query("SELECT vec_id AS row_key, CAST(generate_subscripts(embedding, 1) - 1 AS BIGINT) AS col_key, round(CAST(unnest(embedding) AS DOUBLE), 6) AS value FROM embeddings WHERE vec_id < 50")
+@query("SELECT vec_id AS row_key, CAST(generate_subscripts(embedding, 1) - 1 AS BIGINT) AS col_key, round(CAST(unnest(embedding) AS DOUBLE), 6) AS value FROM embeddings")
 def op_udf_udaf_udtf(spark: SparkSession, sf: str) -> DataFrame:
     from .functions.udx import register
 
     register(spark)
-    load(spark, sf, "embeddings").where("vec_id < 50").createOrReplaceTempView("vectors_of_udtf")
+    load(spark, sf, "embeddings").createOrReplaceTempView("vectors_of_udtf")
     return spark.sql("SELECT v.vec_id AS row_key, c.col_key, round(c.value, 6) AS value FROM vectors_of_udtf v, LATERAL explode_cells(v.embedding) c")
 
 

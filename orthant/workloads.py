@@ -28,9 +28,10 @@ PENALTIES = (0.0, 0.001, 0.01, 0.1, 1.0, 10.0)
 
 def as_array(coo: DataFrame, rows: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(matrix, row keys, column keys) of a bounded workload. ``rows``: keys of rows that may have no cells."""
-    keys = [sorted(r[0] for r in t.toLocalIterator()) for t in ((rows or coo.select("row_key")).select("row_key").distinct(), coo.select("col_key").distinct())]
-    if len(keys[0]) * len(keys[1]) > MOST_CELLS:
+    distinct = ((rows or coo.select("row_key")).select("row_key").distinct(), coo.select("col_key").distinct())
+    if distinct[0].count() * distinct[1].count() > MOST_CELLS:
         raise ValueError("the matrix is too large for repeated runs; use solvers.factorize")
+    keys = [sorted(r[0] for r in t.toLocalIterator()) for t in distinct]
     cells = coo.toPandas()
     r, c = (np.searchsorted(np.array(k), cells[n].to_numpy()) for k, n in zip(keys, ("row_key", "col_key"), strict=True))
     x = np.zeros((len(keys[0]), len(keys[1])))
@@ -103,14 +104,21 @@ def penalty_grid(spark: SparkSession, sf_dir: str, name: str, which: str, k: int
     return medians(run_grid(spark, x, grid, iterations, iterations)).where("metric in ('gini', 'zero_share', 'relative_error')")
 
 
-def cost_table(spark: SparkSession, sf_dir: str, name: str, k: int, s: int, w: int, iterations: int = 10) -> DataFrame:
-    """Model operations and memory beside measured seconds, a row per method."""
+def deviation_from_best(curves: DataFrame) -> DataFrame:
+    """method, value, percent: each method's last median objective, and by how many percent it is above the best method's."""
+    last = curves.where("metric = 'objective'").groupBy("method").agg(F.max_by("value", "iter").alias("value"))
+    best = last.agg(F.min("value").alias("best"))  # one row
+    return last.crossJoin(best).select("method", "value", ((F.col("value") / F.col("best") - 1) * 100).alias("percent"))
+
+
+def cost_table(spark: SparkSession, sf_dir: str, name: str, k: int, s: int, w: int, iterations: int = 10, seeds: int = 3) -> DataFrame:
+    """Model operations and memory beside measured seconds (medians over starts), a row per method."""
     x = data_of(spark, sf_dir, name)
     d, n = x.shape
     k, s = min(k, min(x.shape) - 2), min(s, min(x.shape))
-    seconds = run_grid(spark, x, [{"method": m, "k": k, "s": s, "w": w, "seed": 1} for m in SIX], iterations, iterations).where("metric = 'seconds'")
+    seconds = run_grid(spark, x, [{"method": m, "k": k, "s": s, "w": w, "seed": seed} for m in SIX for seed in range(seeds)], iterations, iterations).where("metric = 'seconds'")
     model = spark.createDataFrame([(m, flops(m, d, n, k, s), flops(m, d, n, k, s, "counted"), memory_floats(m, d, n, k, s), bytes_reduced(m, n, k, s, 8)) for m in SIX], "method string, flops double, counted double, floats double, bytes_reduced double")
-    return model.join(seconds.groupBy("method").pivot("metric", ["seconds"]).agg(F.first("value")), "method")
+    return model.join(seconds.groupBy("method").pivot("metric", ["seconds"]).agg(F.median("value")), "method")
 
 
 def convergence(runs: DataFrame) -> DataFrame:

@@ -48,7 +48,7 @@ def test_routes_agree(coo, planted):
         assert np.allclose(np.linalg.svd(span, compute_uv=False), 1, atol=1e-5)
 
 
-@pytest.mark.parametrize("method", ["cgram_hals", "cmu", "cals", "chals", "gram_hals", "mu", "hals", "anls", "pgd"])
+@pytest.mark.parametrize("method", ["cgram_hals", "cmu", "cals", "canls", "chals", "gram_hals", "mu", "hals", "anls", "pgd"])
 def test_distributed_equals_arrays(coo, planted, method):
     penalty = Penalty(0.01, 0.02) if "hals" in method else Penalty()
     rows, cols, trace = solvers.factorize(coo, 3, 6, 2, 3, method, penalty, placement="distributed" if method.startswith("c") else None)
@@ -56,8 +56,7 @@ def test_distributed_equals_arrays(coo, planted, method):
     assert len(got) == int(planted.any(1).sum()) and all((v >= 0).all() for v in got.values())
     if method.startswith("c"):
         there = solvers.factorize(coo, 3, 6, 2, 3, method, penalty, placement="driver")
-        if method != "chals":  # its in-loop scaling differs between the two
-            assert np.allclose([v for _, v in trace], [v for _, v in there[2]], rtol=1e-6)
+        assert np.allclose([v for _, v in trace], [v for _, v in there[2]], rtol=1e-6)
     else:
         assert trace[-1][1] <= trace[0][1] * (1 + 1e-9)
         a = np.array([got[k] for k in sorted(got)])
@@ -93,7 +92,7 @@ def test_singular_values_and_decay(coo, planted):
     packed, keys = projection.packed_index(coo)
     assert np.allclose(projection.singular_values(packed, len(keys), 5), np.linalg.svd(planted, compute_uv=False)[:5])
     p = measures.spectrum_decay(np.exp(-0.02 * np.arange(50)))
-    assert abs(p["exponential"] - 0.02) < 1e-6 and measures.advised_power(0.0012) > measures.advised_power(0.0053)
+    assert abs(p["exponential"] - 0.02) < 1e-6 and [measures.advised_power(x) for x in (0.0012, 0.0053, 1.0, 1e-9)] == [11, 3, 1, 15]
 
 
 def test_validation(spark):
@@ -202,3 +201,31 @@ def test_entry_and_registry(spark):
     q, o = __spark_entry__.queries(), __spark_entry__.oracle_sql()
     assert set(o) <= set(q) and len(q) > 110
     assert __spark_entry__.entry(spark).count() == 50
+
+
+@pytest.mark.parametrize("rule", solvers.Stop.RULES)
+def test_stop_rules(coo, rule):
+    trace = solvers.factorize(coo, 3, 6, 2, 150, tolerance=0.02, stop=rule)[2]
+    assert 1 < len(trace) < 150
+    assert len(solvers.factorize(coo, 3, 6, 2, 4, tolerance=0.0, stop=rule)[2]) == 4
+    with pytest.raises(ValueError, match="no such stop rule"):
+        solvers.Stop(0.1, "other")
+
+
+def test_only_two_states_are_kept(coo, tmp_path, monkeypatch):
+    monkeypatch.setattr(solvers, "shared_folder", lambda spark: str(tmp_path))
+    rows, _, _ = solvers.factorize(coo, 3, 6, 2, 5, placement="distributed")
+    assert rows.count() > 0 and len(list(tmp_path.glob("state-*"))) <= 4  # packed rows, compressed rows, two states
+
+
+def test_best_columns(spark):
+    from orthant.relational import best_columns
+
+    order = np.random.default_rng(5)
+    a, b = order.integers(0, 5, (50, 3)) / 4, order.integers(0, 5, (12, 3)) / 4  # exact products, many ties
+    frames = [spark.createDataFrame([(i, *map(float, v)) for i, v in enumerate(m)], "key bigint, f0 double, f1 double, f2 double") for m in (a, b)]
+    got = {}
+    for r in best_columns(*frames, 3, 4).orderBy("row_key", "rank").collect():
+        got.setdefault(r["row_key"], []).append(r["col_key"])
+    score = a @ b.T
+    assert got == {i: sorted(range(12), key=lambda c: (-round(score[i, c], 9), c))[:4] for i in range(50)}

@@ -45,7 +45,9 @@ def test_gram_form_is_residual_form(d, n, k, seed, penalty):
 def test_methods_fit_a_planted_matrix(method):
     order = np.random.default_rng(1)
     x = order.random((30, 4)) @ order.random((4, 20))
-    a, b, trace = dense.solve(x, method, 4, 10, 2, 200, 3)
+    # the signed multiplicative form only creeps: over six starts its errors are up to 0.055 after 200 iterations and
+    # up to 0.007 after 1000
+    a, b, trace = dense.solve(x, method, 4, 10, 2, 1000 if method == "cmu" else 200, 3)
     assert (a >= 0).all() and (b >= 0).all()
     loose = {"als": 0.2, "cals": 0.5}.get(method, 0.06)
     assert np.sqrt(2 * trace[-1][1]) / np.linalg.norm(x) < loose
