@@ -431,7 +431,8 @@ query(name="chals_evt")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_ev
 query(name="anls_solve")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_evt(spark, sf), 4, 8, 4, 3, "anls")[2]))
 query(name="canls_solve")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_evt(spark, sf), 4, 8, 4, 3, "canls")[2]))
 query(name="cgram_hals_cust_penalised")(lambda spark, sf: _trace(spark, solvers.factorize(M.x_cust(spark, sf), 8, 12, 3, 5, penalty=Penalty(0.1, 0.1))[2]))
-query(name="method_comparison_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 500))
+query(name="method_comparison_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 500, methods=("mu", "cmu", "gram_hals", "cgram_hals")))
+query(name="residual_comparison_img")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_img", 20, 25, 4, 60, methods=("hals", "chals")))
 query(name="method_comparison_ship")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_ship", 20, 25, 4, 60))
 query(name="method_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 150, methods=("mu", "cmu", "gram_hals", "cgram_hals")))
 query(name="residual_comparison_doc")(lambda spark, sf: workloads.compare_methods(spark, sf, "x_doc", 60, 72, 9, 10, 3, ("hals", "chals")))
