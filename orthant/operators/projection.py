@@ -38,6 +38,72 @@ def chunks(batches: Iterator[pa.RecordBatch], width: int, most: int = 1 << 20) -
             yield batch.slice(at, step)
 
 
+#: Share of filled cells from which a dense product is less work than gathers.
+DENSE_SHARE = 0.1
+
+
+class Cells:
+    """Packed rows as a matrix (rows x width). Rows filled to ``DENSE_SHARE`` are laid out dense; from others products
+    gather the rows of their other side, so work and memory go with the stored cells."""
+
+    def __init__(self, batch: pa.RecordBatch, width: int) -> None:
+        idx, val = batch.column("idx"), batch.column("val")
+        self.batch, self.shape = batch, (batch.num_rows, width)
+        self.row = np.repeat(np.arange(batch.num_rows), np.diff(idx.offsets.to_numpy()))
+        self.idx, self.val = idx.flatten().to_numpy(zero_copy_only=False), val.flatten().to_numpy(zero_copy_only=False)
+        self.dense = block(batch, width) if len(self.val) >= DENSE_SHARE * batch.num_rows * width else None
+
+    def full(self) -> np.ndarray:
+        return block(self.batch, self.shape[1]) if self.dense is None else self.dense
+
+    def __matmul__(self, m: np.ndarray) -> np.ndarray:
+        if self.dense is not None:
+            return self.dense @ m
+        out = np.zeros((self.shape[0], m.shape[1]))
+        _add_runs(out, self.row, m[self.idx] * self.val[:, None])
+        return out
+
+    def add_turned(self, g: np.ndarray, out: np.ndarray) -> None:
+        """Adds x' g to ``out``."""
+        if self.dense is not None:
+            out += self.dense.T @ g
+            return
+        order = np.argsort(self.idx, kind="stable")
+        _add_runs(out, self.idx[order], g[self.row[order]] * self.val[order, None])
+
+    def add_gram(self, out: np.ndarray) -> None:
+        """Adds x' x to ``out``, by the columns that have cells."""
+        if self.dense is not None:
+            out += self.dense.T @ self.dense
+            return
+        places, at = np.unique(self.idx, return_inverse=True)
+        step = max(1, (1 << 20) // max(len(places), 1))
+        for a in range(0, self.shape[0], step):
+            lo, hi = np.searchsorted(self.row, (a, a + step))
+            x = np.zeros((min(step, self.shape[0] - a), len(places)))
+            np.add.at(x, (self.row[lo:hi] - a, at[lo:hi]), self.val[lo:hi])
+            out[np.ix_(places, places)] += x.T @ x
+
+
+def _add_runs(out: np.ndarray, place: np.ndarray, values: np.ndarray) -> None:
+    """Adds rows of ``values`` to the rows ``place`` (ascending) of ``out``."""
+    if len(place):
+        first = np.flatnonzero(np.append(True, place[1:] != place[:-1]))
+        out[place[first]] += np.add.reduceat(values, first, axis=0)
+
+
+def cell_chunks(batches: Iterator[pa.RecordBatch], width: int, most: int = 1 << 16) -> Iterator[Cells]:
+    """Slices of at most ``most`` stored cells and ``most`` / 16 rows, or one row."""
+    for batch in batches:
+        ends = batch.column("idx").offsets.to_numpy()
+        at = 0
+        while at < batch.num_rows:
+            to = int(np.searchsorted(ends, ends[at] + most, side="right")) - 1
+            to = min(max(to, at + 1), at + most // 16, batch.num_rows)
+            yield Cells(batch.slice(at, to - at), width)
+            at = to
+
+
 def sum_arrays(parts: DataFrame, shape: tuple[int, ...], fan: int = 64) -> np.ndarray:
     """Sums binary double arrays of column ``part``, one per partition, in two levels; the result goes to the driver."""
 
@@ -57,13 +123,13 @@ def sum_arrays(parts: DataFrame, shape: tuple[int, ...], fan: int = 64) -> np.nd
     return total.reshape(shape)
 
 
-def partial(frame: DataFrame, of_batch, shape: tuple[int, ...], width: int) -> np.ndarray:
-    """The sum over all rows of ``of_batch(batch)``, an array of ``shape``."""
+def partial(frame: DataFrame, add, shape: tuple[int, ...], width: int) -> np.ndarray:
+    """The sum over all packed rows of what ``add(cells, out)`` adds to ``out``, an array of ``shape``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out = np.zeros(shape)
-        for batch in chunks(batches, width):
-            out += of_batch(batch)
+        for x in cell_chunks(batches, width):
+            add(x, out)
         yield pa.RecordBatch.from_arrays([pa.array([out.tobytes()], pa.binary())], ["part"])
 
     return sum_arrays(frame.mapInArrow(run, "part binary"), shape)
@@ -92,9 +158,11 @@ class ProjectedMatrix:
 
 def packed_index(coo: DataFrame) -> tuple[DataFrame, np.ndarray]:
     """(packed rows with column places in idx, the column keys in order). The column keys are held on the driver."""
-    keys = np.array(sorted(r["col_key"] for r in coo.select("col_key").distinct().toLocalIterator()), np.int64)
-    if len(keys) * 8 > DRIVER_BYTES:
+    distinct = coo.select("col_key").distinct().persist()
+    if distinct.count() * 8 > DRIVER_BYTES:
         raise ValueError("too many columns for this route")
+    keys = np.sort(np.fromiter((r["col_key"] for r in distinct.toLocalIterator()), np.int64))
+    distinct.unpersist()
     places = coo.sparkSession.createDataFrame([(int(k), i) for i, k in enumerate(keys)], "col_key bigint, place int")
     cells = coo.join(F.broadcast(places) if len(keys) <= 1_000_000 else places, "col_key")
     packed = cells.groupBy("row_key").agg(F.array_sort(F.collect_list(F.struct("place", "value"))).alias("c")).select("row_key", F.col("c.place").alias("idx"), F.col("c.value").alias("val"))
@@ -111,7 +179,7 @@ def orth(y: np.ndarray) -> np.ndarray:
 
 def compress(packed: DataFrame, keys: np.ndarray, s: int, w: int, seed: int, route: str | None = None, hold=None) -> ProjectedMatrix:
     """Both projections. ``route``: "gram" (two scans, powers of X' X on the driver), "iterate" (w + 3 scans,
-    orthonormalised between powers), or None to let the planner choose. ``hold``: makes a table of the state."""
+    orthonormalised between powers), or None to let the planner choose. ``hold(rows, count)`` makes a table of the state."""
     n = len(keys)
     s = min(s, n)
     route = route or choose_route(n, s, w)
@@ -121,16 +189,14 @@ def compress(packed: DataFrame, keys: np.ndarray, s: int, w: int, seed: int, rou
     def scan(m: np.ndarray) -> np.ndarray:
         spread = spark.sparkContext.broadcast(m)
 
-        def one(batch: pa.RecordBatch) -> np.ndarray:
-            x = block(batch, n)
-            return x.T @ (x @ spread.value)
-
-        return partial(packed, one, m.shape, n)
+        return partial(packed, lambda x, out: x.add_turned(x @ spread.value, out), m.shape, n)
 
-    def first(batch: pa.RecordBatch) -> np.ndarray:
-        x = block(batch, n)
-        g = np_normal(batch.column("row_key").to_numpy()[:, None], np.arange(s)[None, :], seed + 1)
-        return np.concatenate([(x.T @ g).ravel(), [(x * x).sum(), x.sum(), len(x)], (x.T @ x).ravel() if route == "gram" else []])
+    def first(x: Cells, out: np.ndarray) -> None:
+        g = np_normal(x.batch.column("row_key").to_numpy()[:, None], np.arange(s)[None, :], seed + 1)
+        x.add_turned(g, out[: n * s].reshape(n, s))
+        out[n * s : n * s + 3] += [(x.val * x.val).sum(), x.val.sum(), x.shape[0]]
+        if route == "gram":
+            x.add_gram(out[n * s + 3 :].reshape(n, n))
 
     got = partial(packed, first, (n * s + 3 + (n * n if route == "gram" else 0),), n)
     z, (norm2, mass, d) = got[: n * s].reshape(n, s), got[n * s : n * s + 3]
@@ -151,13 +217,12 @@ def compress(packed: DataFrame, keys: np.ndarray, s: int, w: int, seed: int, rou
 
     def state(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, b = spread.value
-        for batch in chunks(batches, n):
-            x = block(batch, n)
+        for x in cell_chunks(batches, n):
             arrays = [pa.array((x @ y).tolist(), pa.list_(pa.float64())) for y in (b, a)]
-            yield pa.RecordBatch.from_arrays([batch.column("row_key"), *arrays], ["key", "x", "q"])
+            yield pa.RecordBatch.from_arrays([x.batch.column("row_key"), *arrays], ["key", "x", "q"])
 
     rows = packed.mapInArrow(state, "key bigint, x array<double>, q array<double>")
-    return ProjectedMatrix(hold(rows) if hold else rows, left, r, float(norm2), float(mass / max(d * n, 1)), int(d))
+    return ProjectedMatrix(hold(rows, int(d)) if hold else rows, left, r, float(norm2), float(mass / max(d * n, 1)), int(d))
 
 
 def tall_qr(frame: DataFrame, column: str, s: int) -> tuple[DataFrame, np.ndarray]:
@@ -184,13 +249,13 @@ def tall_qr(frame: DataFrame, column: str, s: int) -> tuple[DataFrame, np.ndarra
 def singular_values(packed: DataFrame, n: int, m: int, w: int = 4, seed: int = 3) -> np.ndarray:
     """The largest singular values: exact from X' X if that is small, else from a sampled range."""
     if 8 * n * n <= DRIVER_BYTES:
-        c = partial(packed, lambda b: (lambda x: x.T @ x)(block(b, n)), (n, n), n)
+        c = partial(packed, lambda x, out: x.add_gram(out), (n, n), n)
         return np.sqrt(np.maximum(np.linalg.eigvalsh(c)[::-1][:m], 0))
     v = orth(np_normal(np.arange(n)[:, None], np.arange(min(n, m + 10))[None, :], seed))
     for _ in range(w + 1):
         spread = packed.sparkSession.sparkContext.broadcast(v)
-        z = partial(packed, lambda b, u=spread: (lambda x: x.T @ (x @ u.value))(block(b, n)), v.shape, n)
+        z = partial(packed, lambda x, out, u=spread: x.add_turned(x @ u.value, out), v.shape, n)
         v = orth(z)
     spread = packed.sparkSession.sparkContext.broadcast(v)
-    small = v.T @ partial(packed, lambda b: (lambda x: x.T @ (x @ spread.value))(block(b, n)), v.shape, n)
+    small = v.T @ partial(packed, lambda x, out: x.add_turned(x @ spread.value, out), v.shape, n)
     return np.sqrt(np.maximum(np.linalg.eigvalsh((small + small.T) / 2)[::-1][:m], 0))

@@ -3,8 +3,9 @@
 Per iteration the compressed Gram solver makes one pass over the rows: each partition forms its targets
 from the broadcast s x k block, sweeps its rows, and adds up L' A and the components' norms. s k + k
 doubles per partition come back. The column side (n rows) is on the driver with the projections of the
-columns, as is every block of its size. State is handed on through written tables after every
-pass, so that lineage stays bounded and a lost executor costs one pass at most.
+columns, as is every block of its size. The data rows are written once, in buckets of their keys; every pass writes
+the factor's rows alone, in the same buckets, and their join needs no exchange. Lineage so stays bounded, and a lost
+executor costs one pass at most.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from ..functions.hashing import np_uniform
 from ..plans.matrix_plan import choose_placement
 from . import dense
 from .kernels import COMPRESSED, KERNELS, NONE, Penalty, residual_component
-from .projection import ProjectedMatrix, block, chunks, compress, packed_index, partial, sum_arrays
+from .projection import Cells, ProjectedMatrix, cell_chunks, chunks, compress, packed_index, partial, sum_arrays
 
 
 def shared_folder(spark) -> str:
@@ -49,19 +50,58 @@ def held(frame: DataFrame) -> DataFrame:
     return out
 
 
+#: Bytes of a factor's rows in a bucket, about: a pass holds a bucket's in memory.
+BUCKET_BYTES = 64 << 20
+
+
+def bucketed(frame: DataFrame, buckets: int, deal: bool = False) -> DataFrame:
+    """Writes a table into the shared folder in buckets of ``key`` and reads it back. ``deal`` rows of anywhere first, so
+    that a bucket is one file; rows of a pass already stand in their buckets."""
+    spark, name = frame.sparkSession, f"state_{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{name.replace('_', '-')}"
+    target, files = _place(spark, path)
+    files.deleteOnExit(target)
+    rows = frame.repartition(buckets, "key") if deal else frame
+    rows.write.bucketBy(buckets, "key").option("path", path).saveAsTable(name)
+    out = spark.table(name)
+    spark.sql(f"DROP TABLE {name}")  # the entry alone: an external table's files stay
+    out._state_path, out._buckets = path, buckets
+    return out
+
+
+def bucket_count(spark, rows: int, k: int) -> int:
+    return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows * k * 8 // BUCKET_BYTES))
+
+
 class States:
-    """Written states of one solve: only the last two are kept, as the last one is made from the one before."""
+    """Rows of one solve: the fixed ones, bucketed once, and the factor's (key, f) of the last two passes, as the last one is
+    made from the one before."""
 
-    def __init__(self) -> None:
-        self.paths: list[str] = []
+    def __init__(self, fixed: DataFrame, start: Callable[[DataFrame], DataFrame]) -> None:
+        self.fixed, self.buckets = fixed, fixed._buckets
+        self.start, self.paths, self.f = start, [], None
 
-    def held(self, frame: DataFrame) -> DataFrame:
-        out = held(frame)
+    def rows(self) -> DataFrame:
+        """The fixed rows with their f; a bucket of f, whose size is bounded, is looked up."""
+        return self.start(self.fixed) if self.f is None else self.fixed.join(self.f.hint("shuffle_hash"), "key")
+
+    def advance(self, out: DataFrame, shape: tuple[int, ...]) -> np.ndarray:
+        """Writes a pass's output (key, f, part), whose rows with a part are partial sums; returns their sum."""
+        out = bucketed(out, self.buckets)
         self.paths.append(out._state_path)
         while len(self.paths) > 2:
-            target, files = _place(frame.sparkSession, self.paths.pop(0))
+            target, files = _place(out.sparkSession, self.paths.pop(0))
             files.delete(target, True)
-        return out
+        self.f = out.where("part is null").select("key", "f")
+        return sum_arrays(out.where("part is not null").select("part"), shape)
+
+    def divide(self, size: np.ndarray) -> None:
+        self.f = _divided(self.f, size)
+
+
+def _sums_row(key: int, sums: np.ndarray) -> pa.RecordBatch:
+    """Partial sums, under a key of the task's own bucket."""
+    return pa.RecordBatch.from_arrays([pa.array([key], pa.int64()), pa.nulls(1, pa.list_(pa.float64())), pa.array([sums.tobytes()], pa.binary())], ["key", "f", "part"])
 
 
 def _divided(rows: DataFrame, size: np.ndarray) -> DataFrame:
@@ -83,37 +123,39 @@ def _lists(x: np.ndarray) -> pa.Array:
     return pa.array(x.tolist(), pa.list_(pa.float64()))
 
 
-def row_pass(rows: DataFrame, s: int, k: int, update: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int, states: States) -> tuple[DataFrame, np.ndarray, np.ndarray]:
-    """Applies ``update(x, f) -> f`` to the state (key, x, q, f): (new state, L' F, sums of squares of F). State and
-    sums come from one pass: partial sums ride as tagged rows of the same output."""
+def row_pass(states: States, s: int, k: int, update: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int) -> tuple[np.ndarray, np.ndarray]:
+    """Applies ``update(x, f) -> f`` to the rows (key, x, q, f): (L' F, sums of squares of F). The new f and the sums come
+    from one pass: partial sums ride as tagged rows of the same output."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        near, squares = np.zeros((s, k)), np.zeros(k)
-        names = ["key", "x", "q", "f", "part"]
+        near, squares, key = np.zeros((s, k)), np.zeros(k), None
         for batch in chunks(batches, width + s + k):
             f = update(_matrix(batch.column("x"), width), _matrix(batch.column("f"), k))
             near += _matrix(batch.column("q"), s).T @ f
             squares += (f * f).sum(0)
-            yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("x"), batch.column("q"), _lists(f), pa.nulls(batch.num_rows, pa.binary())], names)
-        none = pa.nulls(1, pa.list_(pa.float64()))
-        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), none, none, none, pa.array([np.concatenate([near.ravel(), squares]).tobytes()], pa.binary())], names)
+            key = batch.column("key")[0].as_py()
+            yield pa.RecordBatch.from_arrays([batch.column("key"), _lists(f), pa.nulls(batch.num_rows, pa.binary())], ["key", "f", "part"])
+        if key is not None:
+            yield _sums_row(key, np.concatenate([near.ravel(), squares]))
 
-    out = states.held(rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>, part binary"))
-    sums = sum_arrays(out.where("part is not null").select("part"), (s * k + k,))
-    return out.where("part is null").drop("part"), sums[: s * k].reshape(s, k), sums[s * k :]
+    sums = states.advance(states.rows().select("key", "x", "q", "f").mapInArrow(run, FACTOR), (s * k + k,))
+    return sums[: s * k].reshape(s, k), sums[s * k :]
 
 
+FACTOR = "key bigint, f array<double>, part binary"
 #: Numbers of a block of columns that the driver and each task of the uncompressed forms hold.
 MOST_BLOCK = 50_000_000
 
 
 def with_start(rows: DataFrame, k: int, seed: int, scale: float) -> DataFrame:
+    """The rows with random f, functions of their keys."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             f = np_uniform(batch.column("key").to_numpy()[:, None], np.arange(k)[None, :], seed) * scale
             yield pa.RecordBatch.from_arrays([*batch.columns, _lists(f)], [*batch.schema.names, "f"])
 
-    return rows.mapInArrow(run, "key bigint, x array<double>, q array<double>, f array<double>")
+    return rows.mapInArrow(run, ", ".join([*(f"{c} {t}" for c, t in rows.dtypes), "f array<double>"]))
 
 
 def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: int, method: str = "cgram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0, stop: str = "gain") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
@@ -121,17 +163,18 @@ def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: in
     compressed kernel, or "chals" (component-major, 2 k passes an iteration)."""
     scale = 2 * np.sqrt(max(p.mean, 1e-12) / k)
     width = p.r.shape[0]
-    rows = with_start(p.rows, k, seed, scale)
+    fixed = p.rows if hasattr(p.rows, "_buckets") else bucketed(p.rows, bucket_count(p.rows.sparkSession, p.d, k), True)
     b = np_uniform(keys[:, None], np.arange(k)[None, :], seed + 1) * scale
     trace: list[tuple[int, float]] = []
-    spark, states, rule = p.rows.sparkSession, States(), Stop(tolerance, stop)
+    spark, states, rule = p.rows.sparkSession, States(fixed, lambda r: with_start(r, k, seed, scale)), Stop(tolerance, stop)
 
     def one_pass(update, component: int | None = None) -> np.ndarray:
-        nonlocal rows, b
-        rows, near, squares = row_pass(rows, p.s, k, update, width, states)
+        nonlocal b
+        near, squares = row_pass(states, p.s, k, update, width)
         if normalize != "none":
             size = np.where(squares > 0, np.sqrt(squares), 1.0) if component is None else _component_size(squares[component], k, component)
-            rows, b, near = _divided(rows, size), b * size, near / size
+            states.divide(size)
+            b, near = b * size, near / size
         return near
 
     for i in range(1, iterations + 1):
@@ -154,7 +197,14 @@ def solve_projected(p: ProjectedMatrix, keys: np.ndarray, k: int, iterations: in
         trace.append((i, 0.5 * float(((p.left - near @ b.T) ** 2).sum())))
         if rule.met(trace, b, near.T @ near, p.left.T @ near):
             break
-    return rows.select("key", "f"), b, trace
+    return states.f if iterations else states.rows().select("key", "f"), b, trace
+
+
+def _residual_by_rows(x: Cells, f: np.ndarray, other: np.ndarray, j: int) -> np.ndarray:
+    """A residual has no empty cells: it is formed for a part of the rows at a time."""
+    step = max(1, (1 << 20) // max(x.shape[1], 1))
+    parts = (Cells(x.batch.slice(a, step), x.shape[1]).full() for a in range(0, x.shape[0], step))
+    return np.concatenate([residual_component(part, f[i * step : (i + 1) * step], other, j) for i, part in enumerate(parts)])
 
 
 def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, method: str = "gram_hals", penalty: Penalty = NONE, seed: int = 7, normalize: str = "sweep", tolerance: float = 0.0, stop: str = "gain") -> tuple[DataFrame, np.ndarray, list[tuple[int, float]]]:
@@ -163,37 +213,30 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
     n = len(keys)
     if n * k > MOST_BLOCK:
         raise ValueError("the column factor is too large for one machine; use a compressed method")
-    d, mass = partial(packed, lambda t: np.array([t.num_rows, np.sum(t.column("val").flatten().to_numpy(zero_copy_only=False))]), (2,), n)
+    d, mass = partial(packed, lambda x, out: out.__iadd__([x.shape[0], x.val.sum()]), (2,), n)
     scale = 2 * np.sqrt(max(mass / max(d * n, 1), 1e-12) / k)
     spark = packed.sparkSession
 
-    def begin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            f = np_uniform(batch.column("row_key").to_numpy()[:, None], np.arange(k)[None, :], seed) * scale
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("row_key", "idx", "val")), _lists(f)], ["row_key", "idx", "val", "f"])
-
-    schema = "row_key bigint, idx array<int>, val array<double>, f array<double>"
-    rows = packed.mapInArrow(begin, schema)
+    fixed = bucketed(packed.withColumnRenamed("row_key", "key"), bucket_count(spark, int(d), k), True)
     b = np_uniform(keys[:, None], np.arange(k)[None, :], seed + 1) * scale
     trace: list[tuple[int, float]] = []
-    states, rule = States(), Stop(tolerance, stop)
-
-    def one_pass(update) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        nonlocal rows
+    states, rule = States(fixed, lambda r: with_start(r, k, seed, scale)), Stop(tolerance, stop)
 
+    def one_pass(update: Callable[[Cells, np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            sums = np.zeros(n * k + k * k + 1)
-            names = ["row_key", "idx", "val", "f", "part"]
-            for batch in chunks(batches, n):
-                x = block(batch, n)
-                f = update(x, _matrix(batch.column("f"), k))
-                sums += np.concatenate([(x.T @ f).ravel(), (f.T @ f).ravel(), [(x * x).sum()]])
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names[:3]), _lists(f), pa.nulls(batch.num_rows, pa.binary())], names)
-            yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.list_(pa.int32())), pa.nulls(1, pa.list_(pa.float64())), pa.nulls(1, pa.list_(pa.float64())), pa.array([sums.tobytes()], pa.binary())], names)
-
-        out = states.held(rows.mapInArrow(run, schema + ", part binary"))
-        sums = sum_arrays(out.where("part is not null").select("part"), (n * k + k * k + 1,))
-        rows = out.where("part is null").drop("part")
+            sums, key = np.zeros(n * k + k * k + 1), None
+            h, g = sums[: n * k].reshape(n, k), sums[n * k : -1].reshape(k, k)
+            for x in cell_chunks(batches, n):
+                f = update(x, _matrix(x.batch.column("f"), k))
+                x.add_turned(f, h)
+                g += f.T @ f
+                sums[-1] += (x.val * x.val).sum()
+                key = x.batch.column("key")[0].as_py()
+                yield pa.RecordBatch.from_arrays([x.batch.column("key"), _lists(f), pa.nulls(x.shape[0], pa.binary())], ["key", "f", "part"])
+            if key is not None:
+                yield _sums_row(key, sums)
+
+        sums = states.advance(states.rows().select("key", "idx", "val", "f").mapInArrow(run, FACTOR), (n * k + k * k + 1,))
         return sums[: n * k].reshape(n, k), sums[n * k : -1].reshape(k, k), sums[-1]
 
     for i in range(1, iterations + 1):
@@ -203,13 +246,14 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
 
                 def update(x, f, j=j, t=spread):
                     f = f.copy()
-                    f[:, j] = residual_component(x, f, t.value, j)
+                    f[:, j] = _residual_by_rows(x, f, t.value, j)
                     return f
 
                 h, g, norm2 = one_pass(update)
                 if normalize != "none":
                     size = _component_size(g[j, j], k, j)
-                    rows, b, h, g = _divided(rows, size), b * size, h / size, g / np.outer(size, size)
+                    states.divide(size)
+                    b, h, g = b * size, h / size, g / np.outer(size, size)
                 if g[j, j] > 0:
                     b[:, j] = np.maximum(h[:, j] - b @ g[:, j] + b[:, j] * g[j, j] - penalty.alpha, 0) / (g[j, j] + penalty.beta)
         else:
@@ -218,12 +262,13 @@ def solve_raw(packed: DataFrame, keys: np.ndarray, k: int, iterations: int, meth
             h, g, norm2 = one_pass(lambda x, f, t=spread, kernel=kernel: kernel(x @ t.value[0], t.value[1], f))
             if normalize != "none":
                 size = np.sqrt(np.where(np.diag(g) > 0, np.diag(g), 1.0))
-                rows, b, h, g = _divided(rows, size), b * size, h / size, g / np.outer(size, size)
+                states.divide(size)
+                b, h, g = b * size, h / size, g / np.outer(size, size)
             b = kernel(h, g, b, penalty)
         trace.append((i, 0.5 * float(norm2 - 2 * (h * b).sum() + (g * (b.T @ b)).sum())))
         if rule.met(trace, b, g, h):
             break
-    return rows.select(F.col("row_key").alias("key"), "f"), b, trace
+    return states.f if iterations else states.rows().select("key", "f"), b, trace
 
 
 def converged(trace: list[tuple[int, float]], tolerance: float) -> bool:
@@ -272,7 +317,12 @@ def factorize(coo: DataFrame, k: int, s: int, w: int, iterations: int, method: s
     packed = held(packed)
     spark = coo.sparkSession
     if method in COMPRESSED:
-        p = compress(packed, keys, s, w, seed, hold=held)
+        def hold(rows: DataFrame, count: int) -> DataFrame:
+            if (placement or choose_placement(count, len(keys), k, min(s, len(keys)))) == "driver":
+                return held(rows)
+            return bucketed(rows, bucket_count(spark, count, k), True)
+
+        p = compress(packed, keys, s, w, seed, hold=hold)
         placement = placement or choose_placement(p.d, p.n, k, p.s)
         if normalize == "component" and placement != "driver":
             raise ValueError("component normalisation needs the driver's placement")
@@ -303,11 +353,11 @@ def fold_in(packed: DataFrame, b: np.ndarray, sweeps: int = 30, penalty: Penalty
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fixed, g = spread.value
-        for batch in chunks(batches, len(fixed)):
-            h = block(batch, len(fixed)) @ fixed
+        for x in cell_chunks(batches, len(fixed)):
+            h = x @ fixed
             f = np.zeros_like(h)
             for _ in range(sweeps):
                 f = KERNELS["gram_hals"](h, g, f, penalty)
-            yield pa.RecordBatch.from_arrays([batch.column("row_key"), _lists(f)], ["key", "f"])
+            yield pa.RecordBatch.from_arrays([x.batch.column("row_key"), _lists(f)], ["key", "f"])
 
     return packed.mapInArrow(run, "key bigint, f array<double>")

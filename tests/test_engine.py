@@ -1,6 +1,7 @@
 """The distributed forms against arrays, sources and sinks, the planner, streams and edge cases."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from orthant import workloads
 from orthant.functions import arrays, udx
@@ -212,10 +213,47 @@ def test_stop_rules(coo, rule):
         solvers.Stop(0.1, "other")
 
 
-def test_only_two_states_are_kept(coo, tmp_path, monkeypatch):
+@pytest.mark.parametrize("method", ["cgram_hals", "gram_hals"])
+def test_passes_write_the_factor_alone(spark, coo, tmp_path, monkeypatch, method):
     monkeypatch.setattr(solvers, "shared_folder", lambda spark: str(tmp_path))
-    rows, _, _ = solvers.factorize(coo, 3, 6, 2, 5, placement="distributed")
-    assert rows.count() > 0 and len(list(tmp_path.glob("state-*"))) <= 4  # packed rows, compressed rows, two states
+    rows, _, _ = solvers.factorize(coo, 3, 6, 2, 5, method, placement="distributed")
+    assert rows.count() > 0
+    columns = sorted(tuple(sorted(spark.read.parquet(str(p)).columns)) for p in tmp_path.glob("state-*"))
+    fixed = ("key", "q", "x") if method == "cgram_hals" else ("idx", "key", "val")
+    # the packed rows, the fixed rows in buckets, and the factor's rows of the last two passes
+    assert columns == sorted([("idx", "row_key", "val"), fixed, ("f", "key", "part"), ("f", "key", "part")])
+
+
+def test_passes_need_no_exchange(spark, coo):
+    packed, _ = projection.packed_index(coo)
+    fixed = solvers.bucketed(packed.withColumnRenamed("row_key", "key"), 4, True)
+    states = solvers.States(fixed, lambda r: solvers.with_start(r, 2, 1, 1.0))
+    rows = states.rows()
+    states.advance(rows.selectExpr("key", "f", "CAST(NULL AS binary) AS part"), (0,))
+    plan = states.rows()._jdf.queryExecution().executedPlan().toString()
+    assert "ShuffledHashJoin" in plan and "Exchange" not in plan
+    assert sorted(map(str, states.rows().collect())) == sorted(map(str, rows.collect()))
+
+
+@pytest.mark.parametrize("share", [0.0, 0.5, 2.0])
+def test_cells_equal_arrays(monkeypatch, share):
+    monkeypatch.setattr(projection, "DENSE_SHARE", share)
+    order = np.random.default_rng(2)
+    x = order.random((70, 30)) * (order.random((70, 30)) < np.linspace(0, 1, 70)[:, None])
+    lists = [np.flatnonzero(r) for r in x]
+    batch = pa.RecordBatch.from_arrays([pa.array([i.tolist() for i in lists], pa.list_(pa.int32())), pa.array([r[i].tolist() for r, i in zip(x, lists, strict=True)], pa.list_(pa.float64()))], ["idx", "val"])
+    m, g = order.random((30, 4)), order.random((70, 4))
+    for most in (16, 400, 1 << 16):
+        parts = list(projection.cell_chunks([batch.slice(0, 33), batch.slice(33)], 30, most))
+        assert sum(p.shape[0] for p in parts) == 70 and all(len(p.val) <= most or p.shape[0] == 1 for p in parts)
+        assert np.allclose(np.concatenate([p @ m for p in parts]), x @ m)
+        turned, gram, at = np.zeros((30, 4)), np.zeros((30, 30)), 0
+        for p in parts:
+            p.add_turned(g[at : at + p.shape[0]], turned)
+            p.add_gram(gram)
+            at += p.shape[0]
+        assert np.allclose(turned, x.T @ g) and np.allclose(gram, x.T @ x)
+        assert np.allclose(np.concatenate([p.full() for p in parts]), x)
 
 
 def test_best_columns(spark):
