@@ -38,6 +38,8 @@ def chunks(batches: Iterator[pa.RecordBatch], width: int, most: int = 1 << 20) -
             yield batch.slice(at, step)
 
 
+#: Bytes that one job may bring to the driver.
+COLLECT_BYTES = 64 << 20
 #: Share of filled cells from which a dense product is less work than gathers.
 DENSE_SHARE = 0.1
 
@@ -117,8 +119,10 @@ def sum_arrays(parts: DataFrame, shape: tuple[int, ...], fan: int = 64) -> np.nd
     n = parts.rdd.getNumPartitions()
     if n > fan:
         parts = parts.repartition(max(1, int(n**0.5))).mapInArrow(add, "part binary")
+        n = int(n**0.5)
     total = np.zeros(int(np.prod(shape)))
-    for row in parts.toLocalIterator():
+    # a few small arrays come in one job, others one partition after the other
+    for row in parts.collect() if n * total.nbytes <= COLLECT_BYTES else parts.toLocalIterator():
         total += np.frombuffer(bytes(row["part"]))
     return total.reshape(shape)
 
@@ -159,9 +163,10 @@ class ProjectedMatrix:
 def packed_index(coo: DataFrame) -> tuple[DataFrame, np.ndarray]:
     """(packed rows with column places in idx, the column keys in order). The column keys are held on the driver."""
     distinct = coo.select("col_key").distinct().persist()
-    if distinct.count() * 8 > DRIVER_BYTES:
+    count = distinct.count()
+    if count * 8 > DRIVER_BYTES:
         raise ValueError("too many columns for this route")
-    keys = np.sort(np.fromiter((r["col_key"] for r in distinct.toLocalIterator()), np.int64))
+    keys = np.sort(np.fromiter((r["col_key"] for r in (distinct.collect() if count * 64 <= COLLECT_BYTES else distinct.toLocalIterator())), np.int64))
     distinct.unpersist()
     places = coo.sparkSession.createDataFrame([(int(k), i) for i, k in enumerate(keys)], "col_key bigint, place int")
     cells = coo.join(F.broadcast(places) if len(keys) <= 1_000_000 else places, "col_key")
