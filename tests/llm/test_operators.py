@@ -306,7 +306,7 @@ def test_prefix_keys_share_when_similar():
             continue
         share = order.random()
         frequent = lambda u, s=share: (u % np.uint64(1000)) < np.uint64(1000 * s)
-        (ka, la), (kb, lb) = (jaccard.prefix_keys(u, frequent(u)) for u in (a, b))
+        (ka, la, _), (kb, lb, _) = (jaccard.prefix_keys(u, frequent(u)) for u in (a, b))
         need = jaccard._need(len(a), len(b))
         left, right = ({k: max(l[ks == k]) for k in set(ks.tolist())} for ks, l in ((ka, la), (kb, lb)))
         assert any(min(left[k], right[k]) >= need for k in set(left) & set(right)) or np.array_equal(a, b), trial
