@@ -307,3 +307,16 @@ def test_singular_values_of_many_columns(spark, monkeypatch):
     got = projection.singular_values(packed, len(keys), 10)
     assert np.allclose(got, np.linalg.svd(x, compute_uv=False)[:10], rtol=1e-4)
     assert max(8 * a * b for a, b in shapes) <= 64 << 20
+
+
+def test_stream_results_stay_in_files(spark, sf):
+    from orthant.relational import QUERIES
+
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    kind = F.array_position(F.array(*map(F.lit, ("click", "error", "purchase", "signup", "view"))), F.col("event_type")) - 1
+    cells, windows = (QUERIES[n](spark, sf) for n in ("stream_cells", "stream_windows"))
+    assert cells.inputFiles() and windows.inputFiles()
+    want = events.groupBy("user_id", kind * 24 + F.hour("ts")).agg(F.count("*").cast("double"))
+    assert sorted(map(tuple, cells.collect())) == sorted(map(tuple, want.collect()))
+    want = events.groupBy("user_id", "event_type", F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz")).agg(F.count("*"))
+    assert sorted(map(tuple, windows.collect())) == sorted(map(tuple, want.collect()))
