@@ -320,3 +320,19 @@ def test_stream_results_stay_in_files(spark, sf):
     assert sorted(map(tuple, cells.collect())) == sorted(map(tuple, want.collect()))
     want = events.groupBy("user_id", "event_type", F.date_trunc("hour", F.col("ts").cast("timestamp")).cast("timestamp_ntz")).agg(F.count("*"))
     assert sorted(map(tuple, windows.collect())) == sorted(map(tuple, want.collect()))
+
+
+@pytest.mark.parametrize("name", ["communication_model", "flop_model", "memory_model", "op_window_ends", "published_ratios", "run_median", "run_rollup", "trace_monotone"])
+def test_queries_read_a_given_table_and_equal_sql(spark, sf, name):
+    import duckdb
+    from orthant import queries
+
+    got = queries.QUERIES[name](spark, sf)
+    table = "lineitem" if "model" in name or name == "published_ratios" else "events"
+    assert any(f.endswith(f"/{table}.parquet") for f in got.inputFiles())
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW {table} AS SELECT * FROM '{sf}/{table}.parquet'")
+    want = db.execute(queries.ORACLES[name])
+    names = [c[0] for c in want.description]
+    rows = lambda x: sorted((tuple("" if v is None else round(v, 5) if isinstance(v, float) else v for v in r) for r in x), key=str)
+    assert got.columns == names and rows(map(tuple, got.collect())) == rows(want.fetchall())
