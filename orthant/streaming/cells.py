@@ -43,18 +43,22 @@ def run_to_memory(frame: DataFrame, name: str, mode: str, checkpoint: str) -> Da
 def run_to_files(frame: DataFrame, path: str, checkpoint: str) -> DataFrame:
     """Runs a stream over what is there and returns its whole result from files below ``path``, so that no row comes to the
     driver. State is kept by RocksDB, off the executors' heaps; a batch that runs again overwrites its own folder."""
-    spark, provider, last = frame.sparkSession, "spark.sql.streaming.stateStore.providerClass", []
+    spark, last = frame.sparkSession, []
+    # a batch without data would only write the same result again
+    conf = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider", "spark.sql.streaming.noDataMicroBatches.enabled": "false"}
 
     def write(batch: DataFrame, batch_id: int) -> None:
         batch.write.mode("overwrite").parquet(f"{path}/batch-{batch_id}")
         last.append(batch_id)
 
-    before = spark.conf.get(provider)
-    spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    before = {k: spark.conf.get(k) for k in conf}
     try:
+        for k, v in conf.items():
+            spark.conf.set(k, v)
         query = frame.writeStream.outputMode("complete").foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     finally:
-        spark.conf.set(provider, before)
+        for k, v in before.items():
+            spark.conf.set(k, v)
     query.awaitTermination()
     return spark.read.schema(frame.schema).parquet(f"{path}/batch-{last[-1]}") if last else spark.createDataFrame([], frame.schema)
 
