@@ -336,3 +336,42 @@ def test_queries_read_a_given_table_and_equal_sql(spark, sf, name):
     names = [c[0] for c in want.description]
     rows = lambda x: sorted((tuple("" if v is None else round(v, 5) if isinstance(v, float) else v for v in r) for r in x), key=str)
     assert got.columns == names and rows(map(tuple, got.collect())) == rows(want.fetchall())
+
+
+@pytest.mark.parametrize(("method", "iterations"), [("cgram_hals", 2), ("chals", 1)])
+def test_columns_in_tables(spark, coo, monkeypatch, method, iterations):
+    from orthant.operators import grid
+    from orthant.plans import matrix_plan
+
+    args = (coo, 3, 6, 2, iterations, method, Penalty(0.01, 0.02))
+    want_a, want_b, want = solvers.factorize(*args, placement="distributed")
+    monkeypatch.setattr(matrix_plan, "COLUMN_BYTES", 300)
+    monkeypatch.setattr(grid, "BLOCK_BYTES", 16 * 6 * 4)  # blocks of about four keys
+    monkeypatch.setattr(grid, "SUM_BYTES", 700)
+    monkeypatch.setattr(grid, "MOST_CELLS", 5)
+    monkeypatch.setattr(grid, "STEP_CELLS", 3)
+    monkeypatch.setattr(solvers, "packed_index", lambda *_: pytest.fail("column keys came to the driver"))
+    sums, read = [], grid.sum_arrays
+    monkeypatch.setattr(grid, "sum_arrays", lambda parts, shape: sums.append(shape) or read(parts, shape))
+    a, b, trace = solvers.factorize(*args)
+    assert [i for i, _ in trace] == [i for i, _ in want] and np.allclose([v for _, v in trace], [v for _, v in want], rtol=1e-7)
+    for got, right, n in ((a, want_a, 39), (b, want_b, 15)):
+        got, right = dense_of(got, 3), dense_of(right, 3)
+        assert got.keys() == right.keys() and len(got) == n
+        assert all(np.allclose(got[key], f, rtol=1e-5, atol=1e-7) for key, f in right.items())
+    assert sums == [(6, 6)]
+
+
+def test_columns_in_tables_of_low_rank_and_stop_rules(spark, monkeypatch):
+    from orthant.operators import grid
+    from orthant.plans import matrix_plan
+
+    order = np.random.default_rng(9)
+    x = order.random((30, 2)) @ order.random((2, 25))
+    cells = spark.createDataFrame([(i, j - 12, float(x[i, j])) for i in range(30) for j in range(25)], COO)
+    solve = lambda **more: solvers.factorize(cells, 2, 6, 1, 4, tolerance=0.5, stop="gradient", **more)
+    want = solve(placement="distributed")[2]
+    monkeypatch.setattr(matrix_plan, "COLUMN_BYTES", 300)
+    monkeypatch.setattr(grid, "BLOCK_BYTES", 16 * 6 * 4)
+    _, b, trace = solve()
+    assert len(trace) == len(want) and np.allclose([v for _, v in trace], [v for _, v in want], rtol=1e-6, atol=1e-9) and b.count() == 25
