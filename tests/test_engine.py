@@ -375,3 +375,13 @@ def test_columns_in_tables_of_low_rank_and_stop_rules(spark, monkeypatch):
     monkeypatch.setattr(grid, "BLOCK_BYTES", 16 * 6 * 4)
     _, b, trace = solve()
     assert len(trace) == len(want) and np.allclose([v for _, v in trace], [v for _, v in want], rtol=1e-6, atol=1e-9) and b.count() == 25
+
+
+@pytest.mark.parametrize("name", ["deviation_img", "gini_alpha_img", "gini_beta_img", "kw_sweep_img", "method_comparison_img", "method_comparison_ship"])
+def test_workload_queries_leave_the_matrix_with_the_tasks(spark, sf, coo, monkeypatch, name):
+    from orthant import queries
+
+    for reader in ("toPandas", "toLocalIterator"):
+        monkeypatch.setattr(type(coo), reader, lambda *_, **__: pytest.fail("the matrix came to the driver"))
+    out = queries.QUERIES[name](spark, sf)  # runs are made when it is read
+    assert "method" in out.columns and any("/state-" in f for f in out.inputFiles())
