@@ -1,5 +1,7 @@
 """Updates against independent loops, hand results and conditions of optimality."""
 
+import tracemalloc
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
@@ -22,6 +24,20 @@ def test_hand_results():
     assert np.allclose(kernels.multiplicative(X2 @ b, b.T @ b, np.ones((2, 1))).ravel(), [1.5, 3.5])
 
 
+def test_residual_is_laid_out_in_tiles():
+    """A component of a tall or a wide matrix, as stated; its residual never stands whole in memory."""
+    order = np.random.default_rng(3)
+    x, a, b = order.random((40_000, 64)), order.random((40_000, 5)), order.random((64, 5))
+    for data, f, other in ((x, a, b), (x.T, b, a), (np.asfortranarray(x), a, b)):
+        rest, mate = np.delete(f, 2, 1) @ np.delete(other, 2, 1).T, other[:, 2]
+        expected = np.maximum((data - rest) @ mate - 0.5, 0) / (mate @ mate + 0.25)
+        tracemalloc.start()
+        got = kernels.residual_component(data, f, other, 2, Penalty(0.5, 0.25))
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert np.allclose(got, expected, rtol=1e-10, atol=1e-12) and peak < data.nbytes / 4
+
+
 def loop_sweep(x, a, b, alpha=0.0, beta=0.0):
     """Residuals rebuilt by loops over cells."""
     a, (d, n), k = a.copy(), x.shape, b.shape[1]
