@@ -413,6 +413,34 @@ def test_equal_pages_of_a_host_are_one_page(spark):
     assert got == {1: "one text crawled twice under two ids", 2: "one text crawled twice under two ids", 3: "another text"}
 
 
+def test_pages_with_an_article_take_part_in_their_hosts_runs(spark):
+    notice = "a notice that stands on every page of this host"
+    pages = [
+        (1, "http://e.x/1", f"<div>{notice}</div><article><h1>One</h1><p>{notice}</p></article><p>one line of its own</p>"),
+        (2, "http://e.x/2", f"<div>{notice}</div><p>the page without an article</p>"),
+        (3, "http://e.x/3", f"<main><h1>Three</h1><article>words</article></main><div>{notice} by one of them</div>"),
+        (4, "http://f.x/4", f"<article>four</article><div>{notice}</div>"),
+    ]
+    got = {r.page_id: r.text for r in html_text.page_texts(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert got == {1: f"One\n{notice}\none line of its own", 2: "the page without an article", 3: "Three\nwords\nby one of them", 4: f"four\n{notice}"}
+
+
+def test_the_bitmap_has_all_windows_of_two_pages_and_few_others(spark):
+    own = lambda i, n: " ".join(f"p{i}w{j}" for j in range(n))
+    text = [own(i, 300) + " " + own("all", 20 * (i % 2)) + " " + own("twice", 9) * 2 for i in range(40)]
+    frame = spark.createDataFrame([(i, i % 4 // 2, i, t) for i, t in enumerate(text)], "uid long, host long, page long, text string").repartition(7)
+    bitmap, buckets, bits = html_text._met_twice(frame, 8)
+    got, want = 0, 0
+    batch = frame.toArrow().to_batches()[0]
+    for _, keys, _, _, _ in html_text._windows(batch, 8):
+        bucket, _, bit = html_text._slots(keys, buckets, bits)
+        met = (bitmap[bucket, bit >> 3] >> (7 - (bit & 7)).astype(np.uint8)) & 1 > 0
+        _, at, n = np.unique(keys, return_inverse=True, return_counts=True)
+        assert met[n[at] > 1].all()
+        got, want = got + met.sum(), want + (n[at] > 1).sum()
+    assert 0 < want <= got < 1.05 * want + 50
+
+
 @pytest.mark.parametrize("share", [1, 7, 50_000])
 def test_sorted_suffixes_give_lengths_and_cover_of_repeated_runs(spark, share):
     order = np.random.default_rng(3)
