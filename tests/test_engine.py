@@ -385,3 +385,30 @@ def test_workload_queries_leave_the_matrix_with_the_tasks(spark, sf, coo, monkey
         monkeypatch.setattr(type(coo), reader, lambda *_, **__: pytest.fail("the matrix came to the driver"))
     out = queries.QUERIES[name](spark, sf)  # runs are made when it is read
     assert "method" in out.columns and any("/state-" in f for f in out.inputFiles())
+
+
+def test_state_tables_leave_no_shuffle_files(spark):
+    import time
+
+    files = lambda: {f.getName() for f in spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()) if f.getName().startswith("shuffle")}
+    cells = spark.range(2000).selectExpr("id as key", "id % 7 as v")
+    for write in (solvers.held, lambda f: solvers.bucketed(f, 3, True)):
+        before, frame = files(), cells.groupBy("key").agg({"v": "sum"}).withColumnRenamed("sum(v)", "v")
+        out = write(frame)
+        for _ in range(20):
+            left = files() - before
+            if not left:
+                break
+            time.sleep(0.2)
+        assert not left and out.count() == 2000
+
+
+def test_a_grid_deletes_tables_that_it_no_longer_needs(spark, tmp_path, monkeypatch):
+    """Of a compression's tables the two results alone stay."""
+    from orthant.operators import grid
+
+    monkeypatch.setattr(solvers, "shared_folder", lambda spark: str(tmp_path))
+    x = spark.range(400).selectExpr("id % 40 as row_key", "id % 23 as col_key", "1.0D + id % 5 as value").groupBy("row_key", "col_key").agg({"value": "sum"}).withColumnRenamed("sum(value)", "value")
+    cells = solvers.held(x)
+    p = grid.compress(cells, 5, 1, 3, 7)
+    assert {f.name for f in tmp_path.iterdir() if f.is_dir()} == {t._state_path.rsplit("/", 1)[1] for t in (p.rows, p.cols)}
