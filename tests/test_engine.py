@@ -412,3 +412,19 @@ def test_a_grid_deletes_tables_that_it_no_longer_needs(spark, tmp_path, monkeypa
     cells = solvers.held(x)
     p = grid.compress(cells, 5, 1, 3, 7)
     assert {f.name for f in tmp_path.iterdir() if f.is_dir()} == {t._state_path.rsplit("/", 1)[1] for t in (p.rows, p.cols)}
+
+
+def test_large_sums_are_made_by_all_tasks_at_once(spark, monkeypatch):
+    """The driver reads summed slices behind an exchange, not partitions that are made one after the other."""
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    monkeypatch.setattr(projection, "COLLECT_BYTES", 1000)
+    monkeypatch.setattr(projection, "SLICE_NUMBERS", 64)
+    x = np.random.default_rng(5).random((50, 30))
+    packed = spark.createDataFrame([(i, list(range(30)), r.tolist()) for i, r in enumerate(x)], "row_key bigint, idx array<int>, val array<double>").repartition(9)
+    seen, read = [], DataFrame.toLocalIterator
+    monkeypatch.setattr(DataFrame, "toLocalIterator", lambda self, *a, **k: (seen.append(self), read(self, *a, **k))[1])
+    assert np.allclose(projection.partial(packed, lambda c, out: c.add_gram(out), (30, 30), 30), x.T @ x)
+    plan = seen[0]._jdf.queryExecution().executedPlan().toString()
+    assert len(seen) == 1 and plan.index("MapInArrow") < plan.index("Exchange") < plan.rindex("MapInArrow") and "Coalesce" in plan
+    assert max(len(r["part"]) for r in read(seen[0])) <= 8 * 64
